@@ -8,18 +8,51 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.storage import prepare
-from . import mixing, sharding
+from . import html_text, mixing, packing, sharding, warc_zip
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return prepare(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def _vocabulary() -> tuple[tuple[str, str], str]:
+    """Paths of the public byte-level vocabulary (ranks, tokenizers file) and its splitting pattern."""
+    import public_tokenizers
+
+    return (public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.path("byte_bpe_50k.json")), public_tokenizers.PATTERN
+
+
+def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    paths, pattern = _vocabulary()
+    pieces = packing.pack(_table(spark, sf_dir, "documents").select("doc_id", "text"), paths, pattern)
+    return pieces.select("doc_id", "start", "length", F.crc32("ids").cast("long").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "window", "step_group")
+
+
+def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract_text(_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     planned = mixing.plan_mix(_table(spark, sf_dir, "documents").select("doc_id", "source", "text"))
     return planned.select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    records = warc_zip.round_trip(_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+    return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+WARC_SQL = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS payload FROM pages),
+s AS (SELECT page_id, octet_length(encode(payload)) AS payload_bytes, sha1(payload) AS payload_digest FROM p),
+m AS (SELECT *, max(page_id) OVER (PARTITION BY payload_digest) AS largest FROM s)
+SELECT page_id, payload_bytes, payload_digest,
+       CASE WHEN payload_bytes >= 1000 AND page_id IS DISTINCT FROM largest THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN payload_bytes >= 1000 AND page_id IS DISTINCT FROM largest THEN largest END AS refers_to
+FROM m
+"""
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
     text = F.coalesce(F.col("text"), F.lit(""))
@@ -29,10 +62,14 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op4_packing": op4_packing,
+    "op6_html_text": op6_html_text,
     "op7_mixing": op7_mixing,
+    "op9_warc": op9_warc,
     "op10_sharding": op10_sharding,
 }
 
 ORACLES: dict[str, str] = {
     "op7_mixing": mixing.MIX_SQL.format(docs="documents"),
+    "op9_warc": WARC_SQL,
 }
