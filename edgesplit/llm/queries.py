@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.storage import prepare
-from . import html_text, mixing, packing, sharding, simhash, substring, warc_zip
+from . import html_text, mixing, near_vectors, nearest, packing, quality, sharding, simhash, substring, warc_zip
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,6 +27,11 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op2_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = _table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return nearest.nearest(rows, F.col("vec_id") % 100 == 0)
+
+
 def op3_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.repeat_digests(_table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
@@ -37,6 +42,10 @@ def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.select("doc_id", "start", "length", F.crc32("ids").cast("long").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "window", "step_group")
 
 
+def op5_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_vectors.near_duplicate_vectors(_table(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label"))
+
+
 def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract_text(_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
 
@@ -46,6 +55,11 @@ def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planned.select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels")
+    return quality.score_documents(docs.select("doc_id", "text"), labels.select("doc_id", "quality"))
+
+
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     records = warc_zip.round_trip(_table(spark, sf_dir, "pages").select("page_id", "url", "html"))
     return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -72,10 +86,13 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash": op1_simhash,
+    "op2_nearest": op2_nearest,
     "op3_substring": op3_substring,
     "op4_packing": op4_packing,
+    "op5_near_vectors": op5_near_vectors,
     "op6_html_text": op6_html_text,
     "op7_mixing": op7_mixing,
+    "op8_quality": op8_quality,
     "op9_warc": op9_warc,
     "op10_sharding": op10_sharding,
 }
