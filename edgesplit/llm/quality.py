@@ -205,3 +205,20 @@ def score_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRES
 
     scored = stats.mapInArrow(run, "doc_id long, score double")
     return scored.select("doc_id", F.coalesce(fold(F.col("doc_id")) == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """Rows of ``docs`` that the classifier does not reject, with all their columns.
+
+    The fitted model is small, so rows are scored and filtered where they are read.
+    """
+    model = fit(materialise(with_statistics(docs), "quality-stats"), labels)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column("text")
+            for a, b in W.documents(texts, _CHUNK):
+                good = model.score(statistics(texts.slice(a, b - a))) >= threshold
+                yield batch.slice(a, b - a).filter(pa.array(good))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -15,7 +15,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return prepare(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def _vocabulary() -> tuple[tuple[str, str], str]:
+def vocabulary() -> tuple[tuple[str, str], str]:
     """Paths of the public byte-level vocabulary (ranks, tokenizers file) and its splitting pattern."""
     import public_tokenizers
 
@@ -37,7 +37,7 @@ def op3_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    paths, pattern = _vocabulary()
+    paths, pattern = vocabulary()
     pieces = packing.pack(_table(spark, sf_dir, "documents").select("doc_id", "text"), paths, pattern)
     return pieces.select("doc_id", "start", "length", F.crc32("ids").cast("long").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "window", "step_group")
 

@@ -33,6 +33,12 @@ _CHUNK = 1 << 20
 
 def fingerprints_of(texts: pa.Array, shingle: int) -> np.ndarray:
     """Unsigned 64-bit fingerprints: a bit is set if over half of the text's shingles have it set."""
+    hashed, n = shingle_hashes(texts, shingle)
+    return _majority(hashed, n)
+
+
+def shingle_hashes(texts: pa.Array, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """XXH64 (seed 42) of all shingles of all texts in a row, and how many each text has."""
     import xxhash
 
     w = W.split(texts)
@@ -44,6 +50,10 @@ def fingerprints_of(texts: pa.Array, shingle: int) -> np.ndarray:
     last = np.minimum(at + shingle - 1, np.repeat(w.first[1:], n) - 1)
     raw, digest = data.tobytes(), xxhash.xxh64_intdigest
     hashed = np.array([digest(raw[i:j], 42) for i, j in zip(begins[at].tolist(), ends[last].tolist(), strict=True)], dtype=np.uint64)
+    return hashed, n
+
+
+def _majority(hashed: np.ndarray, n: np.ndarray) -> np.ndarray:
     out = np.zeros(len(n), np.uint64)
     full = np.flatnonzero(n)
     if len(full):
@@ -215,3 +225,147 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 2) -> Dat
     heads = named.groupBy("root").agg(F.min("least").alias("component_id"))
     final = named.join(heads, "root").select("fp", "component_id")
     return prints.join(final, "fp").select("doc_id", "fp", "component_id")
+
+
+# ---- near copies by shingle similarity -----------------------------------------------------------
+
+SHINGLE, SIMILARITY = 5, 0.8
+TABLES, EXTRA_BITS, REACH = 64, 4, 26
+
+
+def _two_prints(docs: DataFrame, shingle: int) -> DataFrame:
+    """``doc_id, fp, fp2``: the fingerprint and one of the same shingles hashed once more."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids, texts = batch.column("doc_id"), batch.column("text")
+            for a, b in W.documents(texts, _CHUNK):
+                hashed, n = shingle_hashes(texts.slice(a, b - a), shingle)
+                prints = [_majority(hashed, n), _majority(W.mix(hashed * np.uint64(0x9E3779B97F4A7C15)), n)]
+                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in prints)], names=["doc_id", "fp", "fp2"])
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fp long, fp2 long")
+
+
+def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(a[:, 0] ^ b[:, 0]).astype(np.int16) + np.bitwise_count(a[:, 1] ^ b[:, 1])
+
+
+def candidate_pairs(classes: DataFrame, reach: int = REACH, tables: int = TABLES) -> DataFrame:
+    """``a, b``: classes whose two fingerprints differ in ``reach`` bits together or fewer, found by sampled keys.
+
+    A table's key is a sample of bits, so many that unrelated classes rarely share it; tables are so
+    many that near copies share one.  In a bucket every class meets the least one and its neighbours
+    in order; small buckets are compared whole.
+    """
+    n = classes.count()
+    width = int(np.ceil(np.log2(max(2, n)))) + EXTRA_BITS
+    draw = np.random.default_rng(23)
+    masks = np.zeros((tables, 2), np.uint64)
+    for t in range(tables):
+        for bit in draw.choice(2 * BITS, min(width, 2 * BITS), replace=False).tolist():
+            masks[t, bit // BITS] |= np.uint64(1 << (bit % BITS))
+    far = draw.integers(0, 1 << 64, 8, dtype=np.uint64)
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                one, two = (np.asarray(part.column(c)).view(np.uint64) for c in ("fp", "fp2"))
+                for t in range(tables):
+                    key = W.mix(W.mix((one & masks[t, 0]) + np.uint64(t)) ^ ((two & masks[t, 1]) * np.uint64(0x9E3779B97F4A7C15)))
+                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), part.column("node"), part.column("fp"), part.column("fp2")], names=["key", "node", "fp", "fp2"])
+
+    def met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[str, np.ndarray] | None = None
+        for batch in batches:
+            own = {c: np.asarray(batch.column(c)) for c in ("key", "node", "fp", "fp2")}
+            lead = 0
+            if held is not None:
+                lead = len(held["key"])
+                own = {c: np.concatenate((held[c], own[c])) for c in own}
+            yield _meet(own, lead)
+            # The bucket that may go on: its least class and the last ones in order.
+            last = np.flatnonzero(own["key"] == own["key"][-1:])
+            carry = np.unique(np.concatenate((last[:1], last[-_SIDE:])))
+            held = {c: own[c][carry] for c in own}
+
+    def _meet(own: dict[str, np.ndarray], lead: int) -> pa.RecordBatch:
+        key, n = own["key"], len(own["key"])
+        begin = np.flatnonzero(np.diff(key, prepend=key[:1] - 1)) if n else np.zeros(0, np.int64)
+        first = np.repeat(begin, np.diff(np.append(begin, n)))
+        pairs = [np.stack((first, np.arange(n)))]
+        for k in range(1, min(_SIDE, n - 1) + 1):
+            a = np.flatnonzero(key[:-k] == key[k:])
+            pairs.append(np.stack((a, a + k)))
+        a, b = np.concatenate(pairs, axis=1)
+        a, b = a[b >= lead], b[b >= lead]
+        prints = np.stack((own["fp"].view(np.uint64), own["fp2"].view(np.uint64)), axis=1)
+        table = np.bitwise_count(prints[:, 0][:, None] ^ far[None, :]).astype(np.int16)
+        close = (own["node"][a] != own["node"][b]) & (np.abs(table[a] - table[b]).max(axis=1, initial=0) <= reach)
+        a, b = a[close], b[close]
+        near = _bits_apart(prints[a], prints[b]) <= reach
+        x, y = own["node"][a[near]], own["node"][b[near]]
+        found = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+
+    parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = classes.select("node", "fp", "fp2").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
+    return rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long").distinct()
+
+
+_SIDE = 12
+
+
+def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
+    """``doc_id, component_id`` for every row: documents whose shingle sets have at least this Jaccard similarity link.
+
+    Candidates come from fingerprints, links are verified on whole sets.  Rows with both fingerprints
+    equal are one class.  A null text or one without words is of the class without words; a null
+    doc_id never names a component; an empty table gives an empty result.
+    """
+    prints = materialise(_two_prints(docs, 3), "near-prints")
+    classes = materialise(prints.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least")).withColumn("node", F.xxhash64("fp", "fp2")), "near-classes")
+    pairs = materialise(candidate_pairs(classes), "near-candidates")
+
+    # One text stands for a class; only classes in a candidate pair have their sets made.
+    involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    heads = classes.join(involved, "node").select("node", F.col("least").alias("doc_id")).where("doc_id is not null")
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column("text")
+            for a, b in W.documents(texts, _CHUNK):
+                hashed, n = shingle_hashes(texts.slice(a, b - a), shingle)
+                bounds = np.concatenate(([0], np.cumsum(n)))
+                bodies = [np.unique(hashed[i:j].astype(np.uint32)).tobytes() for i, j in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("node").slice(a, b - a), pa.array(bodies, pa.binary())], names=["node", "body"])
+
+    chosen = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(heads, "doc_id").select("node", "text")
+    bodies = materialise(chosen.mapInArrow(sets, "node long, body binary").dropDuplicates(["node"]), "near-sets")
+
+    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = []
+            for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True):
+                one, two = np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32)
+                low, high = sorted((len(one), len(two)))
+                both = len(np.intersect1d(one, two, assume_unique=True)) if low >= similarity * high else 0
+                good.append(bool(both) and both >= similarity * (low + high - both))
+            yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    left = bodies.select(F.col("node").alias("a"), F.col("body").alias("x"))
+    right = bodies.select(F.col("node").alias("b"), F.col("body").alias("y"))
+    links = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
+    roots = connected_components(links)
+    named = classes.join(roots, "node", "left").select("fp", "fp2", "least", F.coalesce("root", "node").alias("root"))
+    least = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    final = named.join(least, "root").select("fp", "fp2", "component_id")
+    return prints.join(final, ["fp", "fp2"]).select("doc_id", "component_id")
+
+
+def keep_one(docs: DataFrame, components: DataFrame) -> DataFrame:
+    """Rows of ``docs`` whose doc_id names its component, once each; rows of components without any doc_id stay."""
+    heads = components.where("doc_id = component_id").select("doc_id").distinct()
+    unnamed = docs.where("doc_id is null") if components.where("doc_id is null and component_id is null").limit(1).count() else docs.limit(0)
+    return docs.join(heads, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]).union(unnamed)
