@@ -9,10 +9,13 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _SETTING = "spark.checkpoint.dir"
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _local_default: dict[str, str] = {}
 
 
@@ -44,9 +47,29 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/edgesplit/{name}-{uuid.uuid4().hex}"
 
 
+@contextmanager
+def _shuffle_files_freed(spark: SparkSession) -> Iterator[None]:
+    """Let Spark delete a query's shuffle files when the query ends; the session's own choice comes back."""
+    try:
+        before = spark.conf.get(_CLEANUP)
+    except Exception:  # a Spark without this setting keeps the files until its garbage is collected
+        yield
+        return
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(_CLEANUP, before)
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write a table to the shared folder and read it back: lineage ends there and survives lost executors."""
+    """Write a table to the shared folder and read it back.
+
+    Lineage ends there and survives lost executors, and what the table's own shuffles left on the
+    executors' disks is freed at once.
+    """
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    df.write.parquet(path)
+    with _shuffle_files_freed(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
