@@ -15,6 +15,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -198,10 +199,13 @@ def _settle(rounds: DataFrame, all_sharing: bool) -> DataFrame:
 
     With ``all_sharing`` every document of a shared entry is marked, else all but the smallest.
     """
-    plain = rounds.where("doc_id is not null").select("doc_id", "body")
 
     def run(table: pa.Table) -> pa.Table:
-        parts = [_unpack(x.as_py()) for x in table.column("body")]
+        packed = pc.is_null(table.column("doc_id"))
+        found = table.filter(pc.invert(packed)).select(["doc_id", "body"])
+        parts = [_unpack(x.as_py()) for x in table.filter(packed).column("body")]
+        if not parts:
+            return found
         ids, low, high = (np.concatenate([p[i] for p in parts]) for i in range(3))
         order, begin = _groups((ids, high, low))
         ids, high, low = ids[order], high[order], low[order]
@@ -209,10 +213,9 @@ def _settle(rounds: DataFrame, all_sharing: bool) -> DataFrame:
         least, most = np.repeat(ids[begin], counts), np.repeat(np.append(ids[begin[1:] - 1], ids[-1:]), counts)
         chosen = least != most if all_sharing else ids > least
         rows = list(_marks(ids[chosen], low[chosen] if all_sharing else high[chosen]))
-        return pa.Table.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], names=["doc_id", "body"])
+        return pa.concat_tables([found, pa.Table.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], names=["doc_id", "body"])])
 
-    packed = rounds.where("doc_id is null").select("bucket", "body").groupBy("bucket").applyInArrow(run, "doc_id long, body binary")
-    return plain.union(packed)
+    return rounds.groupBy("bucket").applyInArrow(run, "doc_id long, body binary")
 
 
 # ---- the operator --------------------------------------------------------------------------------
