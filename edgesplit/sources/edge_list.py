@@ -38,8 +38,8 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", width: int
         return lines.select(parts[0].cast("long").alias("src"), parts[1].cast("long").alias("dst"))
     if fmt == "adjacency":
         parts = F.split(F.trim("value"), "[,\\s]+")
-        lines = spark.read.text(path).where("value not like '#%' and trim(value) <> ''").select(parts.alias("p"))
-        return lines.select(F.col("p")[0].cast("long").alias("src"), F.explode(F.slice("p", 2, F.greatest(F.size("p") - 1, F.lit(0)))).cast("long").alias("dst"))
+        lines = spark.read.text(path).where("value not like '#%' and trim(value) <> ''").select(parts.cast("array<bigint>").alias("p"))
+        return lines.select(F.col("p")[0].alias("src"), F.explode(F.slice("p", 2, F.greatest(F.size("p") - 1, F.lit(0)))).alias("dst"))
     if fmt == "binary":
         return _read_binary(spark, path, width)
     raise ValueError(f"unknown edge format {fmt!r}")
