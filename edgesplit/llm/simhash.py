@@ -280,41 +280,65 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH, tables: int = TABLES
         held: dict[str, np.ndarray] | None = None
         for batch in batches:
             own = {c: np.asarray(batch.column(c)) for c in ("key", "node", "fp", "fp2")}
-            lead = 0
             if held is not None:
-                lead = len(held["key"])
                 own = {c: np.concatenate((held[c], own[c])) for c in own}
-            yield _meet(own, lead)
-            # The bucket that may go on: its least class and the last ones in order.
-            last = np.flatnonzero(own["key"] == own["key"][-1:])
-            carry = np.unique(np.concatenate((last[:1], last[-_SIDE:])))
-            held = {c: own[c][carry] for c in own}
-
-    def _meet(own: dict[str, np.ndarray], lead: int) -> pa.RecordBatch:
+            pairs, open_rows = _meet(own)
+            x, y = own["node"][pairs[0]], own["node"][pairs[1]]
+            found = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1)[x != y], axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+            held = {c: own[c][open_rows] for c in own}
+
+    def _meet(own: dict[str, np.ndarray]) -> tuple[tuple[np.ndarray, np.ndarray], np.ndarray]:
+        """Pairs of rows within reach, and the rows of the last bucket that stand for it if it goes on."""
         key, n = own["key"], len(own["key"])
-        begin = np.flatnonzero(np.diff(key, prepend=key[:1] - 1)) if n else np.zeros(0, np.int64)
-        first = np.repeat(begin, np.diff(np.append(begin, n)))
-        pairs = [np.stack((first, np.arange(n)))]
-        for k in range(1, min(_SIDE, n - 1) + 1):
-            a = np.flatnonzero(key[:-k] == key[k:])
-            pairs.append(np.stack((a, a + k)))
-        a, b = np.concatenate(pairs, axis=1)
-        a, b = a[b >= lead], b[b >= lead]
+        if not n:
+            return (np.zeros(0, np.int64), np.zeros(0, np.int64)), np.zeros(0, np.int64)
+        begin = np.flatnonzero(np.diff(key, prepend=key[:1] - 1))
+        sizes = np.diff(np.append(begin, n))
+        small = np.repeat(sizes <= _WHOLE, sizes)
+        left, right = [], []
+        for k in range(1, min(_WHOLE, n)):
+            i = np.flatnonzero((key[:-k] == key[k:]) & small[:-k])
+            left.append(i)
+            right.append(i + k)
         prints = np.stack((own["fp"].view(np.uint64), own["fp2"].view(np.uint64)), axis=1)
+        standing = np.arange(begin[-1], n) if sizes[-1] <= _WHOLE else begin[-1:]
+        for at, size in zip(begin[sizes > _WHOLE].tolist(), sizes[sizes > _WHOLE].tolist(), strict=True):
+            i, j, centres = _stars(prints, np.arange(at, at + size), reach)
+            left.append(i)
+            right.append(j)
+            if at == begin[-1]:
+                standing = centres[:_WHOLE]
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
         table = np.bitwise_count(prints[:, 0][:, None] ^ far[None, :]).astype(np.int16)
-        close = (own["node"][a] != own["node"][b]) & (np.abs(table[a] - table[b]).max(axis=1, initial=0) <= reach)
+        close = np.abs(table[a] - table[b]).max(axis=1, initial=0) <= reach
         a, b = a[close], b[close]
         near = _bits_apart(prints[a], prints[b]) <= reach
-        x, y = own["node"][a[near]], own["node"][b[near]]
-        found = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+        return (a[near], b[near]), standing
 
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     rows = classes.select("node", "fp", "fp2").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
     return rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long").distinct()
 
 
-_SIDE = 12
+#: Buckets up to this size are compared whole.
+_WHOLE = 4
+
+
+def _stars(prints: np.ndarray, rows: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs of a large bucket's rows with centres that cover it, and the centres."""
+    left, right, centres = [], [], []
+    while len(rows) > _WHOLE:
+        bits = np.unpackbits(prints[rows].view(np.uint8), axis=1)
+        majority = np.packbits(2 * bits.sum(axis=0) > len(rows)).view(np.uint64)
+        centre = rows[np.argmin(_bits_apart(prints[rows], majority[None, :]))]
+        inside = _bits_apart(prints[rows], prints[centre][None, :]) <= reach
+        left.append(rows[inside])
+        right.append(np.full(int(inside.sum()), centre))
+        centres.append(centre)
+        rows = rows[~inside]
+    i, j = np.triu_indices(len(rows), 1)
+    return np.concatenate((*left, rows[i])), np.concatenate((*right, rows[j])), np.array(centres, np.int64)
 
 
 def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
