@@ -427,6 +427,13 @@ _add(
 )
 
 
+for _name, _slide in (("tumbling", 600), ("sliding", 300)):
+    _add(
+        f"window_{_name}", lambda s, d, x=_slide: live.window_counts(table(s, d, "events"), "10 minutes", f"{x} seconds").select(F.unix_micros(F.col("start").cast("timestamp")).alias("start_us"), "n"),
+        f"SELECT CAST(w AS BIGINT) AS start_us, count(*) AS n FROM (SELECT unnest([(epoch_us(ts) // {_slide * 10**6} - i) * {_slide * 10**6} FOR i IN range({600 // _slide})]) AS w FROM events) t GROUP BY w",
+    )
+
+
 def _stream_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clusters after the event stream's edges (user, event type) came in one micro-batch."""
     prepare(spark)

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.hashing import partition_of
 from ..operators import clustering
@@ -26,8 +30,29 @@ def assign_live(edges: DataFrame, degrees: DataFrame, k: int, seed: int = 0) ->
 
 
 def window_counts(events: DataFrame, width: str = "10 minutes", slide: str | None = None) -> DataFrame:
-    """Events and active users by tumbling or sliding window."""
-    return events.groupBy(F.window("ts", width, slide or width).alias("w")).agg(F.count("*").alias("n"), F.approx_count_distinct("user_id").alias("users")).select(F.col("w.start").alias("start"), "n", "users")
+    """Events and about how many active users, by tumbling or sliding window, on a stream or a table."""
+    counts = events.groupBy(F.window("ts", width, slide or width).alias("w")).agg(F.count("*").alias("n"), F.approx_count_distinct("user_id").alias("users"))
+    return counts.select(F.col("w.start").alias("start"), "n", "users")
+
+
+def replica_counts(assigned: DataFrame, k: int) -> DataFrame:
+    """``v, replicas``: after each micro-batch, how many partitions hold each vertex that it touched.
+
+    The state of a vertex is its set of partitions as a bit mask, k bits at most.
+    """
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        mask = int(state.get[0]) if state.exists else 0
+        for batch in batches:
+            for p in batch["p"]:
+                mask |= 1 << int(p)
+        state.update((str(mask),))
+        yield pd.DataFrame({"v": [key[0]], "replicas": [mask.bit_count()]})
+
+    if not 1 < k <= 1 << 16:
+        raise ValueError("k must be from 2 to 65536")
+    ends = assigned.select(F.explode(F.array("src", "dst")).alias("v"), "p")
+    return ends.groupBy("v").applyInPandasWithState(update, "v long, replicas int", "mask string", "update", GroupStateTimeout.NoTimeout)
 
 
 class LiveClusters:

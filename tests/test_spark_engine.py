@@ -125,3 +125,30 @@ def test_plans_have_no_product_and_no_single_window_over_edges(spark):
     edges = frame(spark, TRIANGLES)
     text = clustering.one_round(edges, clustering.singletons(degrees.compute(edges)), 8)._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in text and "SinglePartition" not in text
+
+
+def test_live_replica_counts(spark, tmp_path):
+    from edgesplit.streaming import live
+
+    frame(spark, TRIANGLES).selectExpr("src", "dst", "cast(pos % 2 as int) as p").coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("src long, dst long, p int").parquet(str(tmp_path / "in"))
+    query = live.replica_counts(stream, 2).writeStream.format("memory").queryName("live_replicas").outputMode("update").option("checkpointLocation", str(tmp_path / "log")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    got = {r["v"]: r["replicas"] for r in spark.sql("select * from live_replicas").collect()}
+    want = {}
+    for pos, a, b in TRIANGLES:
+        for x in (a, b):
+            want.setdefault(x, set()).add(pos % 2)
+    assert got == {x: len(p) for x, p in want.items()}
+
+
+def test_live_clusters_follow_batches(spark):
+    from edgesplit.streaming import live
+
+    state = live.LiveClusters(spark, 8)
+    state.update(frame(spark, TRIANGLES[:3]).select("src", "dst"), 0)
+    state.update(frame(spark, TRIANGLES[:3]).select("src", "dst"), 0)  # replayed
+    first = {r["v"]: r["d"] for r in state.clusters.collect()}
+    state.update(frame(spark, TRIANGLES[3:]).select("src", "dst"), 1)
+    second = {r["v"]: r["d"] for r in state.clusters.collect()}
+    assert first == {1: 2, 2: 2, 3: 2} and second == {1: 2, 2: 2, 3: 3, 4: 3, 5: 2, 6: 2}
