@@ -40,23 +40,30 @@ _NEVER_BY_NAME = frozenset(["html", "body", "main", "article", "h1", "h2", "h3",
 _NAMES = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription signup login nav navbar navigation menu menubar submenu breadcrumb breadcrumbs masthead header footer sidebar comment comments disqus replies reply respond social share sharing sharebar related recommended widget toolbar pagination pager copyright complementary contentinfo search dialog alert alertdialog skip".split()
 )
+# Of those, the ones that mark a comment or an advert whatever it holds.
+_ALWAYS = frozenset("ad ads adv advert adverts advertisement sponsored comment comments disqus replies reply respond".split())
 _SAME_LEVEL = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table", "tbody", "thead", "tfoot")), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table")), "option": ("option", ("select",))}
 
 
-def _unwanted(tag: str, attributes: str, inside_article: bool) -> bool:
+def _unwanted(tag: str, attributes: str, inside_article: bool) -> int:
+    """0: kept; 1: gone by its name, unless it turns out to hold the article; 2: gone."""
     if tag in _DROP:
-        return True
+        return 2
     if tag == "header":
-        return not inside_article
-    if not attributes or tag in _NEVER_BY_NAME:
-        return False
+        return 0 if inside_article else 1
+    if not attributes:
+        return 0
     for name, a, b, c in _ATTRIBUTE.findall(attributes):
         value, name = (a or b or c).lower(), name.lower()
         if name == "hidden" or name == "aria-hidden" and value == "true":
-            return True
-        if name in ("class", "id", "role") and not _NAMES.isdisjoint(_NAME.findall(value)):
-            return True
-    return False
+            return 2
+        if name in ("class", "id", "role"):
+            words = set(_NAME.findall(value))
+            if not _ALWAYS.isdisjoint(words) and tag not in ("html", "body", "main"):
+                return 2 if tag != "article" or "comment" in words or "reply" in words else 0
+            if not _NAMES.isdisjoint(words) and tag not in _NEVER_BY_NAME:
+                return 1
+    return 0
 
 
 class _Page:
@@ -64,7 +71,7 @@ class _Page:
 
     def __init__(self, source: str) -> None:
         self.tag, self.parent, self.last = ["#page"], [-1], [0]
-        self.gone, self.link, self.article = [False], [False], [False]
+        self.gone, self.link, self.article, self.named = [False], [False], [False], []
         self.pieces: list[tuple[int, int, str]] = []
         self._block, self._open = 0, [0]
         self._read(source)
@@ -93,6 +100,21 @@ class _Page:
             self._text(rest)
         while len(self._open) > 1:
             self._pop()
+        self._drop_named()
+
+    def _drop_named(self) -> None:
+        """Parts that only their names condemn go, but for wrappers around an article or the page's heading."""
+        if not self.named:
+            return
+        before = [0]  # headings and articles ahead of each node
+        for tag, gone in zip(self.tag, self.gone, strict=True):
+            before.append(before[-1] + (tag in ("article", "main", "h1") and not gone))
+        for node in self.named:
+            end = self.last[node] + 1
+            if self.gone[node] or self.tag[node] != "header" and before[end] > before[node + 1]:
+                continue
+            self.gone[node:end] = [True] * (end - node)
+        self.pieces = [x for x in self.pieces if not self.gone[x[0]]]
 
     def _text(self, text: str) -> None:
         if text and not self.gone[self._open[-1]]:
@@ -115,7 +137,10 @@ class _Page:
         self.parent.append(up)
         self.last.append(node)
         self.article.append(self.article[up] or tag in ("article", "main"))
-        self.gone.append(self.gone[up] or _unwanted(tag, attributes, self.article[up]))
+        unwanted = _unwanted(tag, attributes, self.article[up])
+        self.gone.append(self.gone[up] or unwanted == 2)
+        if unwanted == 1 and not self.gone[up]:
+            self.named.append(node)
         self.link.append(self.link[up] or tag == "a")
         if not attributes.endswith("/") or tag not in ("path", "g"):
             self._open.append(node)

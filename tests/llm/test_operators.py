@@ -295,6 +295,12 @@ def test_main_text():
         "<div id=comments><p>Nice text, I liked it very much indeed, thanks.</div><aside>Side</aside><footer>&copy; me</footer></body></html>"
     )
     assert html_text.main_text(page) == "Title & more\nFirst part goes on.\nSecond part with a link."
+    article = "<article><h1>T</h1><p>" + "word " * 30 + "</p><p>tail</p></article>"
+    for around in (
+        "<div class='page with-sidebar'>{}<div class=sidebar>x y</div></div>", "<header><h1>Site</h1></header>{}<section id=comments><article class=comment><p>" + "nice " * 200 + "</article></section>",
+        "<div class='cookie-notice'>We use cookies</div>{}<div class=related><a href=x>More stories here</a></div>", "<div id=menu><a href=1>a</a></div><main>{}</main><aside>s</aside><form>f<input></form>",
+    ):
+        assert html_text.main_text("<body>" + around.format(article) + "</body>") == "T\n" + ("word " * 30).strip() + "\ntail"
     assert html_text.main_text(None) == html_text.main_text("") == html_text.main_text("<p></p>") == ""
     assert html_text.main_text("just text &lt;b&gt; <foo") == "just text <b>"
     assert html_text.main_text("<div><p>" + "word " * 50 + "</p><p>" + "more " * 50 + "</p></div><ul class=menu><li><a>x</a></ul>") == ("word " * 50).strip() + "\n" + ("more " * 50).strip()
