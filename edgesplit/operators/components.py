@@ -16,8 +16,10 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     the shared folder.  Self loops and duplicates are allowed; rows with a null end are ignored.
     """
     pairs = edges.select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo"), F.col(a).isNotNull().alias("x"), F.col(b).isNotNull().alias("y")).where("x and y").select("hi", "lo")
+    # Whatever made the edges runs once.
+    pairs = materialise(pairs.distinct(), "cc-pairs")
     nodes = pairs.select(F.explode(F.array("hi", "lo")).alias("node")).distinct()
-    live = materialise(pairs.where("hi <> lo").distinct(), "cc-edges")
+    live = pairs.where("hi <> lo")
     labels = materialise(nodes.select("node", F.col("node").alias("root")), "cc-labels")
     for _ in range(max_rounds):
         if live.isEmpty():
