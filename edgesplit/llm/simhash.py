@@ -230,51 +230,79 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 2) -> Dat
 # ---- near copies by shingle similarity -----------------------------------------------------------
 
 SHINGLE, SIMILARITY = 5, 0.8
-TABLES, EXTRA_BITS, REACH = 64, 4, 26
+#: Keys of a set, least hashes in a key, and bits (of 128) that two fingerprints may differ in.  Sets of
+#: Jaccard similarity 0.8 share no key with a chance of (1 - 0.8^5)^20 = 0.0004, whatever the size of the
+#: corpus; their fingerprints differ in 19.4 bits on average, four standard deviations below the reach.
+TABLES, LEAST_HASHES, REACH = 20, 5, 36
+_GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
-def _two_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """``doc_id, fp, fp2``: the fingerprint and one of the same shingles hashed once more."""
+def _distinct(hashed: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of each text sorted and once each, and how many each text has."""
+    who = np.repeat(np.arange(len(n)), n)
+    order = np.lexsort((hashed, who))
+    hashed, who = hashed[order], who[order]
+    new = np.ones(len(hashed), bool)
+    new[1:] = (hashed[1:] != hashed[:-1]) | (who[1:] != who[:-1])
+    return hashed[new], np.bincount(who[new], minlength=len(n))
+
+
+def _set_digests(hashed: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """One value for each set of distinct hashes, equal for equal sets."""
+    sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(W.mix(hashed ^ _GOLDEN), dtype=np.uint64)))
+    ends = np.cumsum(n)
+    return W.mix((sums[ends] - sums[ends - n]) ^ (n.astype(np.uint64) * _GOLDEN))
+
+
+def _set_keys(hashed: np.ndarray, n: np.ndarray, tables: int) -> np.ndarray:
+    """Keys of each set: a row of ``tables`` values, each of ``LEAST_HASHES`` least values under hashes of its own."""
+    full = np.flatnonzero(n)
+    out = np.zeros((len(n), tables), np.uint64)
+    if len(full):
+        starts = (np.cumsum(n) - n)[full]
+        draw = np.random.default_rng(23).integers(0, 1 << 64, (tables, LEAST_HASHES), dtype=np.uint64)
+        for t in range(tables):
+            key = np.full(len(full), t, np.uint64)
+            for salt in draw[t]:
+                key = W.mix((key * _GOLDEN) ^ np.minimum.reduceat(W.mix(hashed ^ salt), starts))
+            out[full, t] = key
+    return out
+
+
+def _set_prints(docs: DataFrame, shingle: int) -> DataFrame:
+    """``doc_id, node, fp, fp2, keys`` of each text's shingle set: its digest, two fingerprints and its packed keys (null without words)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, texts = batch.column("doc_id"), batch.column("text")
             for a, b in W.documents(texts, _CHUNK):
-                hashed, n = shingle_hashes(texts.slice(a, b - a), shingle)
-                prints = [_majority(hashed, n), _majority(W.mix(hashed * np.uint64(0x9E3779B97F4A7C15)), n)]
-                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in prints)], names=["doc_id", "fp", "fp2"])
+                hashed, n = _distinct(*shingle_hashes(texts.slice(a, b - a), shingle))
+                values = [_set_digests(hashed, n), _majority(hashed, n), _majority(W.mix(hashed * _GOLDEN), n)]
+                keys = pa.array([k.tobytes() if m else None for k, m in zip(_set_keys(hashed, n, TABLES), n.tolist(), strict=True)], pa.binary())
+                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in values), keys], names=["doc_id", "node", "fp", "fp2", "keys"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fp long, fp2 long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, node long, fp long, fp2 long, keys binary")
 
 
 def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(a[:, 0] ^ b[:, 0]).astype(np.int16) + np.bitwise_count(a[:, 1] ^ b[:, 1])
 
 
-def candidate_pairs(classes: DataFrame, reach: int = REACH, tables: int = TABLES) -> DataFrame:
-    """``a, b``: classes whose two fingerprints differ in ``reach`` bits together or fewer, found by sampled keys.
+def candidate_pairs(classes: DataFrame, reach: int = REACH) -> DataFrame:
+    """``a, b``: classes that share a key and whose two fingerprints differ in ``reach`` bits together or fewer.
 
-    A table's key is a sample of bits, so many that unrelated classes rarely share it; tables are so
-    many that near copies share one.  In a bucket every class meets the least one and its neighbours
-    in order; small buckets are compared whole.
+    Buckets of up to ``_WHOLE`` classes are compared whole.  In a larger one a centre, the class nearest
+    to the bucket's majority, meets all within reach of it, then the rest chooses a centre of its own.
     """
-    n = classes.count()
-    width = int(np.ceil(np.log2(max(2, n)))) + EXTRA_BITS
-    draw = np.random.default_rng(23)
-    masks = np.zeros((tables, 2), np.uint64)
-    for t in range(tables):
-        for bit in draw.choice(2 * BITS, min(width, 2 * BITS), replace=False).tolist():
-            masks[t, bit // BITS] |= np.uint64(1 << (bit % BITS))
-    far = draw.integers(0, 1 << 64, 8, dtype=np.uint64)
+    far = np.random.default_rng(29).integers(0, 1 << 64, 8, dtype=np.uint64)
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 4096):
                 part = batch.slice(at, 4096)
-                one, two = (np.asarray(part.column(c)).view(np.uint64) for c in ("fp", "fp2"))
-                for t in range(tables):
-                    key = W.mix(W.mix((one & masks[t, 0]) + np.uint64(t)) ^ ((two & masks[t, 1]) * np.uint64(0x9E3779B97F4A7C15)))
-                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), part.column("node"), part.column("fp"), part.column("fp2")], names=["key", "node", "fp", "fp2"])
+                keys = np.frombuffer(b"".join(part.column("keys").to_pylist()), np.int64).reshape(part.num_rows, -1)
+                for t in range(keys.shape[1]):
+                    yield pa.RecordBatch.from_arrays([pa.array(keys[:, t]), part.column("node"), part.column("fp"), part.column("fp2")], names=["key", "node", "fp", "fp2"])
 
     def met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
@@ -317,12 +345,12 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH, tables: int = TABLES
         return (a[near], b[near]), standing
 
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = classes.select("node", "fp", "fp2").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
+    rows = classes.where("keys is not null").select("node", "fp", "fp2", "keys").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
     return rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long").distinct()
 
 
 #: Buckets up to this size are compared whole.
-_WHOLE = 4
+_WHOLE = 16
 
 
 def _stars(prints: np.ndarray, rows: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -344,12 +372,13 @@ def _stars(prints: np.ndarray, rows: np.ndarray, reach: int) -> tuple[np.ndarray
 def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
     """``doc_id, component_id`` for every row: documents whose shingle sets have at least this Jaccard similarity link.
 
-    Candidates come from fingerprints, links are verified on whole sets.  Rows with both fingerprints
-    equal are one class.  A null text or one without words is of the class without words; a null
-    doc_id never names a component; an empty table gives an empty result.
+    Candidates share a key of their shingle sets and have fingerprints within reach; links are verified
+    on whole sets.  Rows with equal sets are one class.  Texts that are null or without words are one
+    class; a null doc_id never names a component; repeated rows stay; an empty table gives an empty result.
     """
-    prints = materialise(_two_prints(docs, 3), "near-prints")
-    classes = materialise(prints.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least")).withColumn("node", F.xxhash64("fp", "fp2")), "near-classes")
+    prints = materialise(_set_prints(docs, shingle), "near-prints")
+    firsts = F.min_by(F.struct("fp", "fp2", "keys"), F.struct("fp", "fp2")).alias("own")
+    classes = materialise(prints.groupBy("node").agg(F.min("doc_id").alias("least"), firsts).select("node", "least", "own.*"), "near-classes")
     pairs = materialise(candidate_pairs(classes), "near-candidates")
 
     # One text stands for a class; only classes in a candidate pair have their sets made.
@@ -360,10 +389,13 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
         for batch in batches:
             texts = batch.column("text")
             for a, b in W.documents(texts, _CHUNK):
-                hashed, n = shingle_hashes(texts.slice(a, b - a), shingle)
+                hashed, n = _distinct(*shingle_hashes(texts.slice(a, b - a), shingle))
                 bounds = np.concatenate(([0], np.cumsum(n)))
                 bodies = [np.unique(hashed[i:j].astype(np.uint32)).tobytes() for i, j in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column("node").slice(a, b - a), pa.array(bodies, pa.binary())], names=["node", "body"])
+                nodes = batch.column("node").slice(a, b - a)
+                # Another text of the same doc_id is not the one that stands for the class.
+                own = np.asarray(nodes) == _set_digests(hashed, n).view(np.int64)
+                yield pa.RecordBatch.from_arrays([nodes, pa.array(bodies, pa.binary())], names=["node", "body"]).filter(pa.array(own))
 
     chosen = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(heads, "doc_id").select("node", "text")
     bodies = materialise(chosen.mapInArrow(sets, "node long, body binary").dropDuplicates(["node"]), "near-sets")
@@ -382,10 +414,10 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
     right = bodies.select(F.col("node").alias("b"), F.col("body").alias("y"))
     links = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
     roots = connected_components(links)
-    named = classes.join(roots, "node", "left").select("fp", "fp2", "least", F.coalesce("root", "node").alias("root"))
+    named = classes.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     least = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    final = named.join(least, "root").select("fp", "fp2", "component_id")
-    return prints.join(final, ["fp", "fp2"]).select("doc_id", "component_id")
+    final = named.join(least, "root").select("node", "component_id")
+    return prints.join(final, "node").select("doc_id", "component_id")
 
 
 def keep_one(docs: DataFrame, components: DataFrame) -> DataFrame:

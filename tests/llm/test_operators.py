@@ -123,6 +123,36 @@ def test_near_copies_by_similarity(spark):
     assert kept == set(range(30))
 
 
+def test_near_copies_just_above_the_similarity(spark):
+    """Pairs with Jaccard similarity 0.80 to 0.85 among unrelated texts, and one text copied often with edits of its own."""
+    draw = np.random.default_rng(5)
+    word = lambda n: [f"w{x}" for x in draw.integers(0, 50_000, n)]
+    rows, near = [], []
+    for i in range(300):
+        text = word(int(draw.integers(60, 400)))
+        rows.append((2 * i, " ".join(text)))
+        if i % 2:
+            # A word changed inside takes five shingles from each of the two sets.
+            n, edits = len(text) - 4, 0
+            while (n - 5 * (edits + 1)) >= 0.8 * (n + 5 * (edits + 1)):
+                edits += 1
+            for e in range(edits):
+                text[5 + e * ((len(text) - 10) // max(1, edits))] = f"x{i}-{e}"
+            rows.append((2 * i + 1, " ".join(text)))
+            near.append(2 * i + 1)
+    hub = word(200)
+    for c in range(60):
+        text = list(hub)
+        for e in draw.choice(np.arange(5, 195), 2, replace=False):
+            text[e] = f"y{c}-{e}"
+        rows.append((1000 + c, " ".join(text)))
+    frame = spark.createDataFrame([*rows, (1000, rows[-60][1]), (5000, None), (5001, " ")], "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(frame).collect()}
+    assert all(got[x] == x - 1 for x in near) and all(got[2 * i] == 2 * i for i in range(300))
+    assert {got[1000 + c] for c in range(60)} == {1000} and got[5000] == got[5001] == 5000
+
+
+
 # ---- 2 and 5 -------------------------------------------------------------------------------------
 
 
