@@ -288,11 +288,13 @@ def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(a[:, 0] ^ b[:, 0]).astype(np.int16) + np.bitwise_count(a[:, 1] ^ b[:, 1])
 
 
-def candidate_pairs(classes: DataFrame, reach: int = REACH) -> DataFrame:
-    """``a, b``: classes that share a key and whose two fingerprints differ in ``reach`` bits together or fewer.
+def candidate_pairs(classes: DataFrame, reach: int = REACH) -> tuple[DataFrame, DataFrame]:
+    """``a, b``: classes that share a key and whose two fingerprints differ in ``reach`` bits together or fewer;
+    and ``key, node``: the members of large buckets.
 
     Buckets of up to ``_WHOLE`` classes are compared whole.  In a larger one a centre, the class nearest
     to the bucket's majority, meets all within reach of it, then the rest chooses a centre of its own.
+    That joins most of the bucket cheaply; ``links_between`` compares what it leaves apart.
     """
     far = np.random.default_rng(29).integers(0, 1 << 64, 8, dtype=np.uint64)
 
@@ -306,14 +308,22 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH) -> DataFrame:
 
     def met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
+        large_key = None
         for batch in batches:
             own = {c: np.asarray(batch.column(c)) for c in ("key", "node", "fp", "fp2")}
+            if not batch.num_rows:
+                continue
             if held is not None:
                 own = {c: np.concatenate((held[c], own[c])) for c in own}
+            sizes = np.unique(own["key"], return_inverse=True, return_counts=True)
+            # Standing rows of a large bucket were told already; telling them again does no harm.
+            large = (sizes[2] > _WHOLE)[sizes[1]] | (own["key"] == large_key if large_key is not None else False)
+            large_key = own["key"][-1] if large[-1] else None
+            yield _found(own["node"][large], None, own["key"][large])
             pairs, open_rows = _meet(own)
             x, y = own["node"][pairs[0]], own["node"][pairs[1]]
             found = np.unique(np.stack((np.minimum(x, y), np.maximum(x, y)), axis=1)[x != y], axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+            yield _found(found[:, 0], found[:, 1], None)
             held = {c: own[c][open_rows] for c in own}
 
     def _meet(own: dict[str, np.ndarray]) -> tuple[tuple[np.ndarray, np.ndarray], np.ndarray]:
@@ -346,11 +356,18 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH) -> DataFrame:
 
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     rows = classes.where("keys is not null").select("node", "fp", "fp2", "keys").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
-    return rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long").distinct()
+    rows = rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long, key long")
+    found = materialise(rows, "near-met")
+    return found.where("b is not null").select("a", "b").distinct(), found.where("b is null").select("key", F.col("a").alias("node")).distinct()
 
 
-#: Buckets up to this size are compared whole.
-_WHOLE = 16
+def _found(a: np.ndarray, b: np.ndarray | None, key: np.ndarray | None) -> pa.RecordBatch:
+    rest = [pa.nulls(len(a), pa.int64()) if x is None else pa.array(x) for x in (b, key)]
+    return pa.RecordBatch.from_arrays([pa.array(a), *rest], names=["a", "b", "key"])
+
+
+#: Buckets up to this size are compared whole; classes in a block of a larger one.
+_WHOLE, _BLOCK = 16, 256
 
 
 def _stars(prints: np.ndarray, rows: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -369,6 +386,67 @@ def _stars(prints: np.ndarray, rows: np.ndarray, reach: int) -> tuple[np.ndarray
     return np.concatenate((*left, rows[i])), np.concatenate((*right, rows[j])), np.array(centres, np.int64)
 
 
+def _apart(members: DataFrame, roots: DataFrame) -> DataFrame:
+    """``key, node, root, other``: members of buckets with several components; ``other`` marks those outside the bucket's largest."""
+    rooted = members.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    rooted = materialise(rooted, "near-rooted")
+    per = rooted.groupBy("key", "root").count()
+    main = per.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("count", "root")).alias("main")).where("roots > 1")
+    # Buckets with the same members are compared once.
+    same = rooted.groupBy("key").agg(F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("s"), F.sum(F.xxhash64("node", F.lit(1)).cast("decimal(38,0)")).alias("t"), F.count("*").alias("n"))
+    chosen = same.join(main, "key").groupBy("s", "t", "n").agg(F.min_by(F.struct("key", "main"), "key").alias("own")).select("own.*")
+    return materialise(rooted.join(chosen, "key").select("key", "node", "root", (F.col("root") != F.col("main")).alias("other")), "near-apart")
+
+
+def links_between(apart: DataFrame, bodies: DataFrame, similarity: float) -> DataFrame:
+    """``a, b``: links between different components of a bucket, enough to join what links; every such pair is compared.
+
+    The members outside a bucket's largest component meet all its members block against block, on whole sets.
+    """
+    sizes = apart.groupBy("key").agg(F.ceil(F.count("*") / _BLOCK).cast("int").alias("blocks"), F.ceil(F.sum(F.col("other").cast("int")) / _BLOCK).cast("int").alias("others"))
+    block = lambda n, salt: F.pmod(F.xxhash64("node", F.lit(salt)), F.col(n)).cast("int")
+    dealt = apart.join(sizes, "key")
+    left = dealt.where("other").select("key", "node", "root", block("others", 5).alias("x"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("y"), F.lit(0).alias("side"))
+    right = dealt.select("key", "node", "root", F.explode(F.sequence(F.lit(0), F.col("others") - 1)).alias("x"), block("blocks", 7).alias("y"), F.lit(1).alias("side"))
+
+    def compare(table: pa.Table) -> pa.Table:
+        side, node, root = (table.column(c).to_numpy() for c in ("side", "node", "root"))
+        sets = [np.frombuffer(x, np.uint32) for x in table.column("body").to_pylist()]
+        rows, columns = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        i, j = _similar(sets, rows, columns, similarity)
+        a, b = rows[i], columns[j]
+        apart = root[a] != root[b]
+        a, b = a[apart], b[apart]
+        named, at = np.unique(root, return_inverse=True)
+        first = {}
+        for x, y in zip(a.tolist(), b.tolist(), strict=True):
+            first.setdefault((int(at[x]), int(at[y])), (x, y))
+        keys = list(first)
+        tree = _spanning(len(named), np.array([k[0] for k in keys], np.int64), np.array([k[1] for k in keys], np.int64))
+        ends = [first[k] for k in tree]
+        return pa.Table.from_arrays([pa.array([int(node[e[k]]) for e in ends], pa.int64()) for k in (0, 1)], names=["a", "b"])
+
+    return left.union(right).join(bodies, "node").groupBy("key", "x", "y").applyInArrow(compare, "a long, b long").distinct()
+
+
+def _similar(sets: list[np.ndarray], rows: np.ndarray, columns: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Positions in ``rows`` and ``columns`` of all pairs of sets with at least this Jaccard similarity."""
+    lengths = np.array([len(x) for x in sets], np.int64)
+    shared = np.zeros((len(rows), len(columns)), np.float32)
+    if not shared.size or not lengths.sum():
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    values, at = np.unique(np.concatenate(sets), return_inverse=True)
+    order = np.argsort(at, kind="stable")
+    who, at = np.repeat(np.arange(len(sets)), lengths)[order], at[order]
+    for low in range(0, len(values), 4096):
+        own = slice(*np.searchsorted(at, (low, low + 4096)))
+        holds = np.zeros((len(sets), min(4096, len(values) - low)), np.float32)
+        holds[who[own], at[own] - low] = 1
+        shared += holds[rows] @ holds[columns].T
+    total = lengths[rows][:, None] + lengths[columns][None, :]
+    return np.nonzero((shared > 0) & (shared >= similarity * (total - shared)))
+
+
 def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
     """``doc_id, component_id`` for every row: documents whose shingle sets have at least this Jaccard similarity link.
 
@@ -379,10 +457,11 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
     prints = materialise(_set_prints(docs, shingle), "near-prints")
     firsts = F.min_by(F.struct("fp", "fp2", "keys"), F.struct("fp", "fp2")).alias("own")
     classes = materialise(prints.groupBy("node").agg(F.min("doc_id").alias("least"), firsts).select("node", "least", "own.*"), "near-classes")
-    pairs = materialise(candidate_pairs(classes), "near-candidates")
+    pairs, members = candidate_pairs(classes)
+    pairs = materialise(pairs, "near-candidates")
 
-    # One text stands for a class; only classes in a candidate pair have their sets made.
-    involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    # One text stands for a class; only classes in a candidate pair or a large bucket have their sets made.
+    involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).union(members.select("node")).distinct()
     heads = classes.join(involved, "node").select("node", F.col("least").alias("doc_id")).where("doc_id is not null")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -413,7 +492,11 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
     left = bodies.select(F.col("node").alias("a"), F.col("body").alias("x"))
     right = bodies.select(F.col("node").alias("b"), F.col("body").alias("y"))
     links = pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
+    links = materialise(links, "near-links")
     roots = connected_components(links)
+    apart = _apart(members, roots)
+    if not apart.isEmpty():
+        roots = connected_components(links.union(links_between(apart, bodies, similarity)))
     named = classes.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     least = named.groupBy("root").agg(F.min("least").alias("component_id"))
     final = named.join(least, "root").select("node", "component_id")

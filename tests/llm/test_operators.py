@@ -450,3 +450,25 @@ def test_shards_are_exact_and_rerun_alike(spark, odd, empty):
 
 def test_registry():
     assert {int(n[2:].split("_")[0]) for n in QUERIES} == set(range(1, 11)) and set(ORACLES) <= set(QUERIES)
+
+
+def test_near_copies_of_a_template_link_with_each_other(spark):
+    """Forty pairs of near copies in large buckets whose centre is below the similarity to all but its own mate."""
+    rows = []
+    for pair in range(40):
+        for side in range(2):
+            own = [f"both{pair}x{i}" for i in range(2)] + [f"own{pair}x{side}x{i}" for i in range(19)]
+            rows.append((2 * pair + side, " ".join([f"t{i}" for i in range(164)] + own)))
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(frame).collect()}
+    assert got == {i: i - i % 2 for i in range(80)}
+
+
+def test_sets_compared_by_blocks_equal_brute_force():
+    draw = np.random.default_rng(3)
+    base = draw.integers(0, 1 << 32, 9000, dtype=np.uint64).astype(np.uint32)
+    sets = [np.unique(base[draw.permutation(9000)[: draw.integers(7000, 9000)]]) for _ in range(20)] + [np.zeros(0, np.uint32)] * 2
+    rows, columns = np.arange(0, 22, 2), np.arange(22)
+    i, j = simhash._similar(sets, rows, columns, 0.8)
+    want = {(a, b) for a in range(11) for b in range(22) if (both := len(np.intersect1d(sets[rows[a]], sets[b]))) and both >= 0.8 * (len(sets[rows[a]]) + len(sets[b]) - both)}
+    assert set(zip(i.tolist(), j.tolist(), strict=True)) == want
