@@ -232,8 +232,9 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 2) -> Dat
 SHINGLE, SIMILARITY = 5, 0.8
 #: Keys of a set, least hashes in a key, and bits (of 128) that two fingerprints may differ in.  Sets of
 #: Jaccard similarity 0.8 share no key with a chance of (1 - 0.8^5)^20 = 0.0004, whatever the size of the
-#: corpus; their fingerprints differ in 19.4 bits on average, four standard deviations below the reach.
-TABLES, LEAST_HASHES, REACH = 20, 5, 36
+#: corpus; their fingerprints differ in 19.4 to 19.9 bits on average, and in more than the reach with a
+#: chance of 0.0001.  Majorities of few shingles tie too often for that: smaller sets are never discarded.
+TABLES, LEAST_HASHES, REACH, FEW = 20, 5, 36, 16
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -270,7 +271,7 @@ def _set_keys(hashed: np.ndarray, n: np.ndarray, tables: int) -> np.ndarray:
 
 
 def _set_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """``doc_id, node, fp, fp2, keys`` of each text's shingle set: its digest, two fingerprints and its packed keys (null without words)."""
+    """``doc_id, node, fp, fp2, few, keys`` of each text's shingle set: its digest, two fingerprints, if it is under ``FEW``, and its packed keys (null without words)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -279,9 +280,9 @@ def _set_prints(docs: DataFrame, shingle: int) -> DataFrame:
                 hashed, n = _distinct(*shingle_hashes(texts.slice(a, b - a), shingle))
                 values = [_set_digests(hashed, n), _majority(hashed, n), _majority(W.mix(hashed * _GOLDEN), n)]
                 keys = pa.array([k.tobytes() if m else None for k, m in zip(_set_keys(hashed, n, TABLES), n.tolist(), strict=True)], pa.binary())
-                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in values), keys], names=["doc_id", "node", "fp", "fp2", "keys"])
+                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in values), pa.array(n < FEW), keys], names=["doc_id", "node", "fp", "fp2", "few", "keys"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, node long, fp long, fp2 long, keys binary")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, node long, fp long, fp2 long, few boolean, keys binary")
 
 
 def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -289,8 +290,8 @@ def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def candidate_pairs(classes: DataFrame, reach: int = REACH) -> tuple[DataFrame, DataFrame]:
-    """``a, b``: classes that share a key and whose two fingerprints differ in ``reach`` bits together or fewer;
-    and ``key, node``: the members of large buckets.
+    """``a, b``: classes that share a key and whose two fingerprints differ in ``reach`` bits together or fewer, unless
+    one is of a set under ``FEW``; and ``key, node``: the members of large buckets.
 
     Buckets of up to ``_WHOLE`` classes are compared whole.  In a larger one a centre, the class nearest
     to the bucket's majority, meets all within reach of it, then the rest chooses a centre of its own.
@@ -304,13 +305,13 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH) -> tuple[DataFrame,
                 part = batch.slice(at, 4096)
                 keys = np.frombuffer(b"".join(part.column("keys").to_pylist()), np.int64).reshape(part.num_rows, -1)
                 for t in range(keys.shape[1]):
-                    yield pa.RecordBatch.from_arrays([pa.array(keys[:, t]), part.column("node"), part.column("fp"), part.column("fp2")], names=["key", "node", "fp", "fp2"])
+                    yield pa.RecordBatch.from_arrays([pa.array(keys[:, t]), part.column("node"), part.column("fp"), part.column("fp2"), part.column("few")], names=["key", "node", "fp", "fp2", "few"])
 
     def met(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
         large_key = None
         for batch in batches:
-            own = {c: np.asarray(batch.column(c)) for c in ("key", "node", "fp", "fp2")}
+            own = {c: batch.column(c).to_numpy(zero_copy_only=False) for c in ("key", "node", "fp", "fp2", "few")}
             if not batch.num_rows:
                 continue
             if held is not None:
@@ -349,13 +350,14 @@ def candidate_pairs(classes: DataFrame, reach: int = REACH) -> tuple[DataFrame,
                 standing = centres[:_WHOLE]
         a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
         table = np.bitwise_count(prints[:, 0][:, None] ^ far[None, :]).astype(np.int16)
-        close = np.abs(table[a] - table[b]).max(axis=1, initial=0) <= reach
-        a, b = a[close], b[close]
-        near = _bits_apart(prints[a], prints[b]) <= reach
+        few = own["few"][a] | own["few"][b]
+        close = (np.abs(table[a] - table[b]).max(axis=1, initial=0) <= reach) | few
+        a, b, few = a[close], b[close], few[close]
+        near = (_bits_apart(prints[a], prints[b]) <= reach) | few
         return (a[near], b[near]), standing
 
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = classes.where("keys is not null").select("node", "fp", "fp2", "keys").mapInArrow(keyed, "key long, node long, fp long, fp2 long")
+    rows = classes.where("keys is not null").select("node", "fp", "fp2", "few", "keys").mapInArrow(keyed, "key long, node long, fp long, fp2 long, few boolean")
     rows = rows.repartition(parts, "key").sortWithinPartitions("key", "fp", "fp2", "node").mapInArrow(met, "a long, b long, key long")
     found = materialise(rows, "near-met")
     return found.where("b is not null").select("a", "b").distinct(), found.where("b is null").select("key", F.col("a").alias("node")).distinct()
@@ -455,7 +457,7 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
     class; a null doc_id never names a component; repeated rows stay; an empty table gives an empty result.
     """
     prints = materialise(_set_prints(docs, shingle), "near-prints")
-    firsts = F.min_by(F.struct("fp", "fp2", "keys"), F.struct("fp", "fp2")).alias("own")
+    firsts = F.min_by(F.struct("fp", "fp2", "few", "keys"), F.struct("fp", "fp2")).alias("own")
     classes = materialise(prints.groupBy("node").agg(F.min("doc_id").alias("least"), firsts).select("node", "least", "own.*"), "near-classes")
     pairs, members = candidate_pairs(classes)
     pairs = materialise(pairs, "near-candidates")

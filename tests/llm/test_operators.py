@@ -472,3 +472,10 @@ def test_sets_compared_by_blocks_equal_brute_force():
     i, j = simhash._similar(sets, rows, columns, 0.8)
     want = {(a, b) for a in range(11) for b in range(22) if (both := len(np.intersect1d(sets[rows[a]], sets[b]))) and both >= 0.8 * (len(sets[rows[a]]) + len(sets[b]) - both)}
     assert set(zip(i.tolist(), j.tolist(), strict=True)) == want
+
+
+def test_short_near_copies_are_not_discarded(spark):
+    """Eight and nine words share four of five shingles; majorities of so few tie, and these differ in over 36 bits."""
+    words = ["q99084 q513237 q69585 q791007 q479109 q998558 q232801 q475693 q887838", "q27267 q453469 q585243 q491013 q302941 q21262 q768278 q557251 q8574"]
+    frame = spark.createDataFrame([(i, " ".join(w.split()[: 8 + i % 2])) for i, w in enumerate(np.repeat(words, 2).tolist())], "doc_id long, text string")
+    assert {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(frame).collect()} == {0: 0, 1: 0, 2: 2, 3: 2}
