@@ -1,7 +1,9 @@
 """Embedding near-dedup by sorted projection passes.
 
 A pass gives every vector a key, the concatenated signs of random projections, sorts each label's
-vectors by it, and compares each with the next few.  Links of all passes are united.  Sorting only
+vectors by it, and compares each with the next few.  Links of all passes are united.  Signs of a dense
+group are correlated, so its vectors sort far apart: vectors that agree on the leading signs that a
+pass counts on, in longer runs than the window, are compared block against block.  Sorting only
 has to find one chain through a group of near copies; how many others a vector links with is then
 counted inside its component: a component in which every vector is within half the allowed angle of
 its first one is complete, and any other is counted block against block.
@@ -32,13 +34,18 @@ BLOCK = 512
 def passes_for(rows: int, threshold: float = THRESHOLD, neighbours: int = NEIGHBOURS, miss: float = 0.01) -> int:
     """How many passes leave a pair at the threshold apart in all of them with probability ``miss`` at most.
 
-    A pair sorts within reach if it agrees on about log2(rows / neighbours) leading signs.
+    A pair is compared if it agrees on ``leading_signs``.
     """
     agree = 1 - math.acos(threshold) / math.pi
     leading = max(1.0, math.log2(max(2, rows) / neighbours))
     return max(6, math.ceil(math.log(miss) / math.log(1 - agree**leading)))
 
 
+def leading_signs(rows: int, neighbours: int = NEIGHBOURS) -> int:
+    """Leading signs, log2(rows / neighbours), on which two vectors must agree in a pass to be compared."""
+    return int(max(1.0, math.log2(max(2, rows) / neighbours)))
+
+
 def _pass_edges(own: dict[str, np.ndarray], new_from: int, threshold: float, reach: int) -> list[tuple[int, int]]:
     """Verified pairs of rows at most ``reach`` apart, of which the later one is new; enough to span their components."""
     unit, group, node = own["unit"], own["group"], own["node"]
@@ -75,8 +82,12 @@ def near_duplicate_vectors(rows: DataFrame, threshold: float = THRESHOLD, neighb
     classes = materialise(classes.withColumn("node", F.xxhash64("class")), "vector-classes")
     largest = classes.groupBy("label").count().agg(F.max("count")).first()[0] or 0
     passes, dimensions = passes_for(largest, threshold, neighbours), [r[0] for r in classes.select(F.size("embedding").alias("d")).distinct().collect()]
-    edges = _links(classes, passes, threshold, neighbours, max(dimensions, default=1))
+    edges, keys = _links(classes, passes, threshold, neighbours, max(dimensions, default=1))
+    edges = materialise(edges, "vector-edges")
     roots = connected_components(edges)
+    apart = _apart(keys, roots, leading_signs(largest, neighbours), neighbours)
+    if not apart.isEmpty():
+        roots = connected_components(edges.union(_between(apart, threshold)))
     members = materialise(classes.join(roots, classes["node"] == roots["node"], "left").select(classes["node"], "class", "least", "n", "embedding", F.coalesce("root", classes["node"]).alias("root")), "vector-members")
     counted = _counts(members, threshold)
     heads = members.groupBy("root").agg(F.min("least").alias("component_id"))
@@ -86,7 +97,8 @@ def near_duplicate_vectors(rows: DataFrame, threshold: float = THRESHOLD, neighb
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
-def _links(classes: DataFrame, passes: int, threshold: float, reach: int, dimension: int) -> DataFrame:
+def _links(classes: DataFrame, passes: int, threshold: float, reach: int, dimension: int) -> tuple[DataFrame, DataFrame]:
+    """``a, b``: links between neighbours of a pass; and the table of keys."""
     draw = np.random.default_rng(31)
     planes = draw.normal(size=(passes, dimension, BITS))
 
@@ -136,7 +148,47 @@ def _links(classes: DataFrame, passes: int, threshold: float, reach: int, dimens
 
     # Rows at both sides of a partition's border, a bounded number of them, are compared once more.
     across = found.where("border is not null").groupBy("border").applyInArrow(borders, "a long, b long")
-    return found.where("border is null").select("a", "b").union(across).distinct()
+    return found.where("border is null").select("a", "b").union(across).distinct(), narrow
+
+
+def _apart(keys: DataFrame, roots: DataFrame, leading: int, reach: int) -> DataFrame:
+    """``pass, label, size, run, node, root, other, embedding``: runs of equal leading signs longer than the window, with several components.
+
+    ``other`` marks those outside the run's largest component.
+    """
+    run = ["pass", "label", "size", "run"]
+    rows = keys.select("pass", "label", F.size("embedding").alias("size"), F.shiftrightunsigned("key", BITS - leading).alias("run"), "node")
+    rooted = materialise(rows.join(roots, "node", "left").select(*run, "node", F.coalesce("root", "node").alias("root")), "vector-runs")
+    per = rooted.groupBy(*run, "root").count()
+    runs = per.groupBy(*run).agg(F.count("*").alias("roots"), F.sum("count").alias("n"), F.max_by("root", F.struct("count", "root")).alias("main"))
+    runs = runs.where((F.col("roots") > 1) & (F.col("n") > reach + 1)).select(*run, "main")
+    marked = rooted.join(runs, run).select(*run, "node", "root", (F.col("root") != F.col("main")).alias("other"))
+    return materialise(marked.join(keys.select("pass", "node", "embedding"), ["pass", "node"]), "vector-apart")
+
+
+def _between(apart: DataFrame, threshold: float) -> DataFrame:
+    """``a, b``: links between different components of a run, enough to join what links; every such pair is compared."""
+    run = ["pass", "label", "size", "run"]
+    blocks = lambda n: F.ceil(n / BLOCK).cast("int")
+    sizes = apart.groupBy(*run).agg(blocks(F.count("*")).alias("blocks"), blocks(F.sum(F.col("other").cast("int"))).alias("others"))
+    block = lambda n, salt: F.pmod(F.xxhash64("node", F.lit(salt)), F.col(n)).cast("int")
+    dealt, kept = apart.join(sizes, run), [*run, "node", "root", "embedding"]
+    left = dealt.where("other").select(*kept, block("others", 5).alias("x"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("y"), F.lit(0).alias("side"))
+    right = dealt.select(*kept, F.explode(F.sequence(F.lit(0), F.col("others") - 1)).alias("x"), block("blocks", 7).alias("y"), F.lit(1).alias("side"))
+
+    def compare(table: pa.Table) -> pa.Table:
+        side, node, root = (table.column(c).to_numpy() for c in ("side", "node", "root"))
+        unit = _unit(matrix(table.column("embedding")))
+        rows, columns = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        i, j = np.nonzero((unit[rows] @ unit[columns].T >= threshold) & (root[rows][:, None] != root[columns][None, :]))
+        named, at = np.unique(root, return_inverse=True)
+        # One pair of vectors for each pair of components.
+        joined, first = np.unique(at[rows[i]] * np.int64(len(named)) + at[columns[j]], return_index=True)
+        tree = set(_spanning(len(named), joined // len(named), joined % len(named)))
+        chosen = [k for k, pair in zip(first.tolist(), joined.tolist(), strict=True) if divmod(pair, len(named)) in tree]
+        return pa.Table.from_arrays([pa.array(node[rows[i[chosen]]] if chosen else [], pa.int64()), pa.array(node[columns[j[chosen]]] if chosen else [], pa.int64())], names=["a", "b"])
+
+    return left.union(right).groupBy(*run, "x", "y").applyInArrow(compare, "a long, b long").distinct()
 
 
 _FOUND = "a long, b long, border int, side int, place int, pass int, label long, embedding array<double>"

@@ -479,3 +479,22 @@ def test_short_near_copies_are_not_discarded(spark):
     words = ["q99084 q513237 q69585 q791007 q479109 q998558 q232801 q475693 q887838", "q27267 q453469 q585243 q491013 q302941 q21262 q768278 q557251 q8574"]
     frame = spark.createDataFrame([(i, " ".join(w.split()[: 8 + i % 2])) for i, w in enumerate(np.repeat(words, 2).tolist())], "doc_id long, text string")
     assert {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(frame).collect()} == {0: 0, 1: 0, 2: 2, 3: 2}
+
+
+def test_near_vectors_beside_a_dense_group(spark):
+    """Vectors that link with a few members of a dense group only, in a label with many others."""
+    draw = np.random.default_rng(5)
+    unit = lambda x: x / np.linalg.norm(x, axis=-1, keepdims=True)
+    centre = unit(draw.normal(size=16))
+    dense = unit(centre + 0.012 * draw.normal(size=(1500, 16)))
+    side = draw.normal(size=(20, 16))
+    side = unit(side - (side @ centre)[:, None] * centre)
+    angle = np.arccos(0.93) + 0.028
+    x = np.concatenate((dense, np.cos(angle) * centre + np.sin(angle) * side, unit(draw.normal(size=(1500, 16)))))
+    linked = x @ x.T >= near_vectors.THRESHOLD
+    root = np.arange(len(x))
+    while (least := np.where(linked, root[None, :], len(x)).min(axis=1)).tolist() != root.tolist():
+        root = least
+    frame = spark.createDataFrame([(i, v, 1) for i, v in enumerate(x.tolist())], "vec_id long, embedding array<double>, label long")
+    got = {r["vec_id"]: (r["component_id"], r["n_links"]) for r in near_vectors.near_duplicate_vectors(frame).collect()}
+    assert got == {i: (int(root[i]), int(linked[i].sum()) - 1) for i in range(len(x))}
