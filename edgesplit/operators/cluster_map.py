@@ -53,13 +53,15 @@ def by_histogram(volumes: DataFrame, k: int, head: int = 100_000) -> DataFrame:
     """LPT over (volume, count) groups; inside a volume clusters are dealt by quota.
 
     The driver holds the groups; there are at most as many as distinct volumes, which the largest
-    cluster bounds.  Of more than ``head`` groups the smallest volumes share one group each power of
-    two, at its upper bound.
+    cluster bounds.  Of more than ``head`` groups the ``head`` largest volumes are dealt exactly; the
+    smaller ones share one group each power of two, at its upper bound.
     """
     spark = volumes.sparkSession
     groups = volumes.groupBy("vol").agg(F.count("*").alias("n"))
     if groups.limit(head + 1).count() > head:
-        rounded = volumes.withColumn("key", F.pow(F.lit(2.0), F.ceil(F.log2("vol"))).cast("long"))
+        least = groups.orderBy(F.desc("vol")).limit(head).agg(F.min("vol")).first()[0]
+        power = F.least(F.pow(F.lit(2.0), F.ceil(F.log2("vol"))).cast("long"), F.lit(least - 1))
+        rounded = volumes.withColumn("key", F.when(F.col("vol") >= least, F.col("vol")).otherwise(power))
     else:
         rounded = volumes.withColumn("key", F.col("vol"))
     counted = sorted(((r["key"], r["n"]) for r in rounded.groupBy("key").agg(F.count("*").alias("n")).collect()), reverse=True)

@@ -152,3 +152,13 @@ def test_live_clusters_follow_batches(spark):
     state.update(frame(spark, TRIANGLES[3:]).select("src", "dst"), 1)
     second = {r["v"]: r["d"] for r in state.clusters.collect()}
     assert first == {1: 2, 2: 2, 3: 2} and second == {1: 2, 2: 2, 3: 3, 4: 3, 5: 2, 6: 2}
+
+
+def test_histogram_deals_the_largest_volumes_exactly(spark):
+    """With a small head the largest volumes go as by exact LPT; only the tail is grouped."""
+    large = [(i, 1000 + 37 * i) for i in range(40)]
+    vols = spark.createDataFrame(large + [(100 + i, 1 + i % 9) for i in range(30)], "c long, vol long")
+    rows = cluster_map.by_histogram(vols, 5, head=40).collect()
+    exact, _ = cluster_map.list_schedule([(v, c) for c, v in reversed(large)], 5)
+    assert {r["c"]: r["p"] for r in rows if r["c"] < 100} == dict(zip([c for c, _ in reversed(large)], exact, strict=True))
+    assert sorted((r["c"], r["vol"]) for r in rows) == sorted((r["c"], r["vol"]) for r in vols.collect())
