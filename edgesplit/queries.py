@@ -450,14 +450,14 @@ _add("stream_cluster_state", _stream_clusters)
 
 # ---- experiments ---------------------------------------------------------------------------------
 
-_add("w_k_sweep", partial(workloads.k_sweep, ks=(4, 32, 128)))
+_add("w_k_sweep", workloads.k_sweep)
 _add("w_main_grid", workloads.main_grid)
 _add("w_phase_split", workloads.phase_split)
 _add("w_stage_mix", workloads.stage_shares)
 _add("w_restream_rf", workloads.restream)
 _add("w_restream_time", workloads.restream_time)
-_add("w_full_scan", partial(workloads.full_scan, ks=(4, 32, 128)))
-_add("w_pagerank", partial(workloads.pagerank_totals, methods=("cluster_guided", "hdrf", "dbh")))
+_add("w_full_scan", workloads.full_scan)
+_add("w_pagerank", workloads.pagerank_totals)
 _add("w_storage", workloads.storage_levels)
 _add("w_hep_tau", workloads.hep_tau)
 _add("w_ablation", workloads.ablation)

@@ -40,3 +40,7 @@ def test_matches_sql(spark, duck, name):
 
 def test_names():
     assert set(ORACLES) <= set(QUERIES)
+
+
+def test_experiments_cover_every_k(spark):
+    assert {r["k"] for r in QUERIES["w_full_scan"](spark, SF).collect()} == {4, 32, 128, 256}
