@@ -1,11 +1,14 @@
 """Main text of HTML pages by composite text density.
 
-A page becomes a flat tree of nodes in page order.  Parts that are never article text go first:
-scripts, styles, navigation, forms, page headers, footers, asides, and containers whose class, id or
-role names an advert, notice, menu or comment area.  Every other node gets a density: its characters
-for each tag, adjusted by how much of it stands in links.  A node's density sum adds those of its
-children; the node with the largest sum leads to the article: its outermost ``article`` or ``main``,
-or else the highest node on its path from the body that stays as dense as the body itself.
+A page becomes a flat tree of nodes in page order.  Every node gets a density: its characters for each
+tag, adjusted by how much of it stands in links.  A node's density sum adds those of its children, and
+the node with the largest sum is the core of the article.  From there the choice widens to a parent as
+long as what the parent adds is dense enough beside the thinnest node on the path to the body.
+
+Tags and names adjust densities and never choose: navigation, page headers, footers, asides and what
+class, id or role call an advert, notice, menu or comment area weigh next to nothing; headings weigh
+more; leaving an ``article`` or ``main`` needs more density, entering one less.  A part with such a
+name that turns out to hold the article is a wrapper, and its name is ignored.
 """
 
 from __future__ import annotations
@@ -29,41 +32,47 @@ _NAME = re.compile(r"[a-z0-9]+")
 # HTML's element kinds.
 _RAW = frozenset("script style textarea title noscript iframe xmp noembed noframes template svg math".split())
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-_DROP = frozenset("head script style nav footer aside form noscript iframe template svg math button select option textarea object embed canvas audio video dialog menu title xmp noembed noframes input label fieldset".split())
+_NOT_TEXT = frozenset("head script style noscript iframe template svg math button select option textarea object embed canvas audio video dialog title xmp noembed noframes input".split())
+_FURNITURE = frozenset("nav footer aside header menu form fieldset label".split())
+_HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 _BLOCK = frozenset(
     "html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr legend li main menu nav ol p pre search section summary table tbody thead tfoot tr td th caption ul option select".split()
 )
 _ENDS_P = _BLOCK - frozenset("td th tr tbody thead tfoot caption html body option".split())
 _SPACING = frozenset(["br", "img", "td", "th"])
-_NEVER_BY_NAME = frozenset(["html", "body", "main", "article", "h1", "h2", "h3", "h4", "h5", "h6"])
+_NEVER_BY_NAME = frozenset(["html", "body", "main"]) | _HEADINGS
 # Words in class, id or role that mark what is not article text.
 _NAMES = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription signup login nav navbar navigation menu menubar submenu breadcrumb breadcrumbs masthead header footer sidebar comment comments disqus replies reply respond social share sharing sharebar related recommended widget toolbar pagination pager copyright complementary contentinfo search dialog alert alertdialog skip".split()
 )
-# Of those, the ones that mark a comment or an advert whatever it holds.
-_ALWAYS = frozenset("ad ads adv advert adverts advertisement sponsored comment comments disqus replies reply respond".split())
+# Of those, the ones that mark a comment or an advert.
+_STRONG = frozenset("ad ads adv advert adverts advertisement sponsored comment comments disqus replies reply respond".split())
+# Words that turn the name they stand beside around (has-comments, ad-free, with-sidebar).
+_TURNED = frozenset("has have with without no not free enabled disabled".split())
+#: What furniture weighs, headings weigh, and by how much leaving or entering an article changes a density.
+_FAINT, _HEAVY, _STEP = 0.02, 8, 5.0
+#: Share of the threshold on the body's path that a parent's added part must reach.
+_ENOUGH = 0.5
 _SAME_LEVEL = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table", "tbody", "thead", "tfoot")), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table")), "option": ("option", ("select",))}
 
 
-def _unwanted(tag: str, attributes: str, inside_article: bool) -> int:
-    """0: kept; 1: gone by its name, unless it turns out to hold the article; 2: gone."""
-    if tag in _DROP:
-        return 2
-    if tag == "header":
-        return 0 if inside_article else 1
-    if not attributes:
-        return 0
-    for name, a, b, c in _ATTRIBUTE.findall(attributes):
+def _suspicion(tag: str, attributes: str, inside_article: bool) -> int:
+    """0: text; 1 or 2: furniture by a weak or strong name, 3: by its tag; 4: no text at all."""
+    if tag in _NOT_TEXT:
+        return 4
+    worst = 3 if tag in _FURNITURE and not (tag == "header" and inside_article) else 0
+    for name, a, b, c in _ATTRIBUTE.findall(attributes) if attributes else ():
         value, name = (a or b or c).lower(), name.lower()
         if name == "hidden" or name == "aria-hidden" and value == "true":
-            return 2
-        if name in ("class", "id", "role"):
-            words = set(_NAME.findall(value))
-            if not _ALWAYS.isdisjoint(words) and tag not in ("html", "body", "main"):
-                return 2 if tag != "article" or "comment" in words or "reply" in words else 0
-            if not _NAMES.isdisjoint(words) and tag not in _NEVER_BY_NAME:
-                return 1
-    return 0
+            return 4
+        if name in ("class", "id", "role") and tag not in _NEVER_BY_NAME:
+            for token in value.split():
+                words = set(_NAME.findall(token))
+                if not _STRONG.isdisjoint(words) and _TURNED.isdisjoint(words):
+                    worst = max(worst, 2)
+                elif tag != "article" and not _NAMES.isdisjoint(words) and _TURNED.isdisjoint(words):
+                    worst = max(worst, 1)
+    return worst
 
 
 class _Page:
@@ -71,7 +80,8 @@ class _Page:
 
     def __init__(self, source: str) -> None:
         self.tag, self.parent, self.last = ["#page"], [-1], [0]
-        self.gone, self.link, self.article, self.named = [False], [False], [False], []
+        self.gone, self.faint, self.link, self.article = [False], [False], [False], [False]
+        self.suspects: list[tuple[int, int]] = []
         self.pieces: list[tuple[int, int, str]] = []
         self._block, self._open = 0, [0]
         self._read(source)
@@ -100,21 +110,6 @@ class _Page:
             self._text(rest)
         while len(self._open) > 1:
             self._pop()
-        self._drop_named()
-
-    def _drop_named(self) -> None:
-        """Parts that only their names condemn go, but for wrappers around an article or the page's heading."""
-        if not self.named:
-            return
-        before = [0]  # headings and articles ahead of each node
-        for tag, gone in zip(self.tag, self.gone, strict=True):
-            before.append(before[-1] + (tag in ("article", "main", "h1") and not gone))
-        for node in self.named:
-            end = self.last[node] + 1
-            if self.gone[node] or self.tag[node] != "header" and before[end] > before[node + 1]:
-                continue
-            self.gone[node:end] = [True] * (end - node)
-        self.pieces = [x for x in self.pieces if not self.gone[x[0]]]
 
     def _text(self, text: str) -> None:
         if text and not self.gone[self._open[-1]]:
@@ -137,10 +132,11 @@ class _Page:
         self.parent.append(up)
         self.last.append(node)
         self.article.append(self.article[up] or tag in ("article", "main"))
-        unwanted = _unwanted(tag, attributes, self.article[up])
-        self.gone.append(self.gone[up] or unwanted == 2)
-        if unwanted == 1 and not self.gone[up]:
-            self.named.append(node)
+        suspicion = _suspicion(tag, attributes, self.article[up])
+        self.gone.append(self.gone[up] or suspicion == 4)
+        self.faint.append(False)
+        if 0 < suspicion < 4 and not self.gone[up]:
+            self.suspects.append((node, suspicion))
         self.link.append(self.link[up] or tag == "a")
         if not attributes.endswith("/") or tag not in ("path", "g"):
             self._open.append(node)
@@ -173,67 +169,131 @@ def main_text(source: str | None) -> str:
     if not source:
         return ""
     page = _Page(source)
-    n = len(page.tag)
-    chars, linked, tags, links = [0] * n, [0] * n, [0] * n, [0] * n
-    for node, _, text in page.pieces:
-        k = len(text) - text.count(" ") if len(text) < 4 else len(text.strip())
-        chars[node] += k
-        if page.link[node]:
-            linked[node] += k
-    for i in range(n - 1, 0, -1):
-        if page.gone[i]:
-            continue
-        up = page.parent[i]
-        tags[i] += 1
-        links[i] += page.tag[i] == "a"
-        for counts in (chars, linked, tags, links):
-            counts[up] += counts[i]
-    top = next((i for i in range(n) if page.tag[i] == "body" and not page.gone[i]), 0)
-    if not chars[top]:
-        top = 0
-    if not chars[top]:
+    top = next((i for i in range(len(page.tag)) if page.tag[i] == "body" and not page.gone[i]), 0)
+    plain = _Counts(page, top)
+    if not plain.chars[plain.top]:
+        plain = _Counts(page, 0)
+    if not plain.chars[plain.top]:
         return ""
-    density = [_density(chars[i], linked[i], tags[i], links[i], chars[top], linked[top]) if not page.gone[i] and chars[i] else 0.0 for i in range(n)]
-    sums = [0.0] * n
-    for i in range(1, n):
-        sums[page.parent[i]] += density[i]
-    best = max(range(top, page.last[top] + 1 if top else n), key=lambda i: (sums[i] if chars[i] else -1.0, -i))
-    chosen = _on_path(page, best, top, density)
-    if chosen != top and 2 * chars[chosen] < chars[top] and not page.article[chosen]:
-        chosen = top
-    return _blocks(page, chosen, chars, linked, links)
+    _judge(page, plain)
+    counts = _Counts(page, plain.top)
+    if not counts.chars[counts.top]:  # all of it is furniture: there is no article
+        return ""
+    return _blocks(page, _choose(page, counts), counts)
+
+
+class _Counts:
+    """Characters, linked characters, heading characters, tags and links of each node, furniture apart, and densities."""
+
+    def __init__(self, page: _Page, top: int) -> None:
+        n = len(page.tag)
+        self.page, self.top = page, top
+        self.chars, self.linked, self.heading, self.tags, self.links = ([0] * n for _ in range(5))
+        for node, _, text in page.pieces:
+            k = len(text) - text.count(" ") if len(text) < 4 else len(text.strip())
+            self.chars[node] += k
+            if page.link[node]:
+                self.linked[node] += k
+        for i in range(n - 1, 0, -1):
+            if page.gone[i]:
+                continue
+            self.links[i] += page.tag[i] == "a"
+            if page.tag[i] in _HEADINGS:
+                self.heading[i] = self.chars[i] - self.linked[i]
+            up = page.parent[i]
+            if page.faint[i] and not page.faint[up]:
+                continue  # furniture has densities of its own and adds nothing to its parent's
+            self.tags[up] += 1
+            for each in (self.chars, self.linked, self.heading, self.tags, self.links):
+                each[up] += each[i]
+        self.page_facts = self.chars[top], self.linked[top]
+        self.density = [self._of(i) for i in range(n)]
+        self.sums = [0.0] * n
+        for i in range(1, n):
+            self.sums[page.parent[i]] += self.density[i]
+
+    def _of(self, i: int) -> float:
+        if self.page.gone[i] or not self.chars[i]:
+            return 0.0
+        return _density(self.chars[i], self.linked[i], self.tags[i], self.links[i], *self.page_facts) * (_FAINT if self.page.faint[i] else 1.0)
+
+    def added(self, parent: int, inner: int) -> float:
+        """Density of what ``parent`` has beside ``inner``."""
+        extra = [x[parent] - x[inner] for x in (self.chars, self.linked, self.heading, self.tags, self.links)]
+        chars = extra[0] + (_HEAVY - 1) * extra[2]
+        return _density(chars, extra[1], max(1, extra[3] - 1), extra[4], *self.page_facts) if extra[0] > 0 else 0.0
+
+    def largest(self) -> int:
+        """The node with the largest density sum; the outermost of equals."""
+        top, page = self.top, self.page
+        inside = range(top, page.last[top] + 1 if top else len(page.tag))
+        return max(inside, key=lambda i: (self.sums[i] if self.chars[i] and not page.faint[i] else -1.0, -i))
 
 
 def _density(chars: int, linked: int, tags: int, links: int, page_chars: int, page_linked: int) -> float:
+    """Composite text density: characters for each tag, times a logarithm that falls as links take their share.
+
+    The logarithm's base has a floor, so that tiny nodes do not win.
+    """
     plain = max(1, chars - linked)
     base = 1.0 + math.log(math.log(chars * linked / plain + page_linked * chars / max(1, page_chars) + math.e))
     ratio = max(chars / max(1, linked) * max(1, tags) / max(1, links), 1.0 + 1e-9)
     return chars / max(1, tags) * math.log(ratio) / base
 
 
-def _on_path(page: _Page, node: int, top: int, density: list[float]) -> int:
-    """The outermost article on the node's path, else the highest node below the top that is as dense as the top."""
-    path = [node]
-    while path[-1] != top and page.parent[path[-1]] >= 0:
+def _judge(page: _Page, plain: _Counts) -> None:
+    """Mark as faint the suspects that are furniture: all of them, but for wrappers that hold the article."""
+    suspects, n = list(page.suspects), len(page.tag)
+    fixed = [x for x, s in suspects if page.tag[x] in ("nav", "footer", "aside", "header", "menu", "label") and s == 3]
+    under = [False] * n
+    for x in fixed:
+        under[x : page.last[x] + 1] = [True] * (page.last[x] + 1 - x)
+    open_ones = [(x, s) for x, s in suspects if not under[x]]
+    signs = [i for i in range(n) if page.tag[i] in ("article", "main", "h1") and not under[i] and not page.gone[i]]
+    while open_ones:
+        outer, end = [], -1
+        for x, s in open_ones:
+            if x > end:
+                outer.append((x, s))
+                end = page.last[x]
+        inside = lambda i: any(x <= i <= page.last[x] for x, _ in outer)  # noqa: B023, E731
+        text = sum(plain.chars[x] - plain.linked[x] for x, _ in outer)
+        whole = plain.chars[plain.top] - plain.linked[plain.top] - sum(plain.chars[x] - plain.linked[x] for x in fixed if not under[page.parent[x]])
+        free = any(not inside(i) for i in signs) if signs else whole - text > text / 2
+        if free:
+            break
+        # All that looks like the article lies in suspects: the one with most text, strong names last, is a wrapper.
+        keep = max(outer, key=lambda o: (any(o[0] < i <= page.last[o[0]] for i in signs), o[1] != 2, plain.chars[o[0]] - plain.linked[o[0]]))
+        if keep[1] == 2 and not any(keep[0] < i <= page.last[keep[0]] for i in signs):
+            break
+        open_ones.remove(keep)
+    for x in [*fixed, *(x for x, _ in open_ones)]:
+        page.faint[x : page.last[x] + 1] = [True] * (page.last[x] + 1 - x)
+
+
+def _choose(page: _Page, counts: _Counts) -> int:
+    """The largest density sum, widened along the path to the body while what is added reaches the path's threshold."""
+    chosen = counts.largest()
+    path = [chosen]
+    while path[-1] != counts.top and page.parent[path[-1]] >= 0:
         path.append(page.parent[path[-1]])
-    for i in reversed(path):
-        if page.tag[i] in ("article", "main"):
-            return i
-    least = density[top]
-    chosen = node
+    least = min(counts.density[i] for i in path) * _ENOUGH
     for i in path[1:]:
-        if i == top or density[i] < least:
-            break
-        chosen = i
+        leaves = any(page.tag[x] in ("article", "main") for x in path[path.index(chosen) : path.index(i)]) and not page.article[i]
+        bar = least * _STEP if leaves else least / _STEP**2 if page.article[i] else least
+        if counts.added(i, chosen) >= bar:
+            chosen = i
     return chosen
 
 
-def _blocks(page: _Page, chosen: int, chars: list[int], linked: list[int], links: list[int]) -> str:
+def _blocks(page: _Page, chosen: int, counts: _Counts) -> str:
+    """Blocks of the chosen subtree, without furniture and lists of links in it."""
+    chars, linked, links = counts.chars, counts.linked, counts.links
     end = page.last[chosen] if chosen else len(page.tag) - 1
     menus = {i for i in range(chosen + 1, end + 1) if page.tag[i] in ("ul", "ol", "table", "div", "section") and links[i] >= 3 and 3 * linked[i] > 2 * chars[i]}
     hidden: set[int] = set()
-    for i in range(chosen + 1, end + 1) if menus else ():
-        if i in menus or page.parent[i] in hidden:
+    for i in range(chosen + 1, end + 1):
+        if i in menus or page.faint[i] or page.parent[i] in hidden:
             hidden.add(i)
     out, block, parts = [], None, []
     for node, serial, text in page.pieces:

@@ -1,12 +1,15 @@
 """The ten operators against brute force, exact round trips and held-out accuracy, and their odd cases."""
 
 import hashlib
+import html
 import io
+import re
 import zipfile
 import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -336,6 +339,51 @@ def test_main_text():
     assert html_text.main_text("<div><p>" + "word " * 50 + "</p><p>" + "more " * 50 + "</p></div><ul class=menu><li><a>x</a></ul>") == ("word " * 50).strip() + "\n" + ("more " * 50).strip()
 
 
+def plain_article(source):
+    """The given pages' article by its tag, blocks by theirs."""
+    inner = re.sub(r"<br>", " ", re.search(r"<article>(.*?)</article>", source, re.DOTALL)[1])
+    blocks = (" ".join(html.unescape(re.sub(r"<[^>]+>", "", b)).split()) for b in re.split(r"</?(?:p|h1|h2|h3|div|ul|li)[^>]*>", inner))
+    return "\n".join(b for b in blocks if b)
+
+
+def unnamed(source):
+    """The same page as a heap of div elements without telling names."""
+    for tag in ("article", "nav", "footer"):
+        source = source.replace(f"<{tag}>", "<div>").replace(f"</{tag}>", "</div>")
+    return source.replace(' class="ad"', "")
+
+
+def test_main_text_of_all_given_pages():
+    pages = [r["html"] for r in pq.read_table("/root/testdata/sf0.1/pages.parquet", columns=["html"]).to_pylist()]
+    assert all(html_text.main_text(x) == plain_article(x) for x in pages)
+
+
+def test_density_finds_articles_without_names(monkeypatch):
+    pages = [r["html"] for r in pq.read_table("/root/testdata/sf0.01/pages.parquet", columns=["html"]).to_pylist()]
+    right = lambda: sum(html_text.main_text(unnamed(x)) == plain_article(x) for x in pages)
+    assert right() > 0.95 * len(pages)
+    own = html_text._density
+    monkeypatch.setattr(html_text, "_density", lambda *a: 1.0)
+    assert right() < 0.05 * len(pages)
+    monkeypatch.setattr(html_text, "_density", lambda *a: 1.0 / (1.0 + own(*a)))
+    assert right() < 0.2 * len(pages)
+
+
+@pytest.mark.parametrize(
+    ("source", "text"),
+    [
+        ("<body><div class='page has-comments'><article><h1>T</h1><p>Some long text here, with words.</p></article><section class='comments'><article><p>I agree very much with all of this.</p></article></section></div></body>", "T\nSome long text here, with words."),
+        ("<body><div class='layout ad-free'><div><h2>T</h2><p>Some long text here, with words.</p></div></div><div class='ad'>Buy now</div></body>", "T\nSome long text here, with words."),
+        ("<body><form id=f><div class='content with-sidebar'><h2>T</h2><p>Some long text here, with words.</p></div><div class=sidebar><a href=x>one</a> two</div></form></body>", "T\nSome long text here, with words."),
+        ("<body><article><section><p>A first section with a long paragraph.</p><p>And yet another long paragraph.</p></section><section><p>Short.</p></section></article><footer>f</footer></body>", "A first section with a long paragraph.\nAnd yet another long paragraph.\nShort."),
+        ("<body><p>just</p><p>two</p></body>", "just\ntwo"),
+        ("<nav><a href=x>only a menu</a></nav>", ""),
+    ],
+)
+def test_names_only_adjust(source, text):
+    assert html_text.main_text(source) == text
+
+
 def test_extract_keeps_rows(spark):
     rows = [(1, "u", None), (2, None, "<p>x</p>"), (2, None, "<p>x</p>"), (None, "v", "<body>" + "<div>" * 3000 + "deep")]
     frame = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", F.lit(1))
