@@ -213,6 +213,35 @@ def test_nearest_recall_and_ties(spark):
     assert sorted(r["vec_id"] for r in few) == [1, 2, 3]
 
 
+@pytest.mark.parametrize("folder", ["sf0.1", "check_s"])
+def test_nearest_on_given_vectors(spark, folder):
+    """Recall of the query, and how few vectors its collision counts let through."""
+    path = f"/root/testdata/{folder}"
+    found = QUERIES["op2_nearest"](spark, path).collect()
+    rows = [(r["vec_id"], r["embedding"]) for r in spark.read.parquet(f"{path}/embeddings.parquet").select("vec_id", "embedding").collect()]
+    rows = [(i, x) for i, x in rows if x and all(y is not None and np.isfinite(y) for y in x) and any(x)]
+    ids, x = np.array([i for i, _ in rows]), np.array([v for _, v in rows], float)
+    hits, total, verified = 0, 0, {r["query_id"]: r["verified"] for r in found}
+    for at in np.flatnonzero(ids % 100 == 0):
+        d = np.sqrt(((x - x[at]) ** 2).sum(1))
+        d[at] = np.inf
+        best = set(ids[np.lexsort((ids, d))[:10]].tolist())
+        hits, total = hits + len(best & {r["vec_id"] for r in found if r["query_id"] == ids[at]}), total + 10
+    assert hits / total >= 0.95 and set(verified) == set(ids[ids % 100 == 0].tolist())
+    assert np.mean(list(verified.values())) < 0.1 * len(ids)
+
+
+def test_collisions_are_counted_in_windows():
+    draw = np.random.default_rng(3)
+    x = draw.normal(size=(500, 12))
+    block = nearest.Block(x, 40)
+    radius = np.array([0.5, 9.0])
+    low, high = block.windows(x[:2], radius)
+    for i in range(2):
+        apart = np.abs(x @ block.lines - x[i] @ block.lines)
+        assert (block.collisions(low[i], high[i]) == (apart <= nearest.HALF_WIDTH * radius[i] + 1e-9 * np.abs(x[i]).max()).sum(axis=1)).all()
+
+
 # ---- 3 -------------------------------------------------------------------------------------------
 
 
