@@ -575,3 +575,42 @@ def test_near_vectors_beside_a_dense_group(spark):
     frame = spark.createDataFrame([(i, v, 1) for i, v in enumerate(x.tolist())], "vec_id long, embedding array<double>, label long")
     got = {r["vec_id"]: (r["component_id"], r["n_links"]) for r in near_vectors.near_duplicate_vectors(frame).collect()}
     assert got == {i: (int(root[i]), int(linked[i].sum()) - 1) for i in range(len(x))}
+
+
+@pytest.mark.parametrize(("background", "cosine"), [(0.0, 0.935), (0.69, 0.935), (0.8, 0.95)])
+def test_near_vectors_with_a_common_direction(spark, background, cosine):
+    """One label of 12,000 vectors that share a direction, pairs just above the threshold among them: recall of their links."""
+    draw = np.random.default_rng(8)
+    unit = lambda x: x / np.linalg.norm(x, axis=-1, keepdims=True)
+    n, pairs, d = 12_000, 600, 64
+    common = unit(draw.normal(size=d))
+    side = draw.normal(size=(n, d))
+    side = unit(side - (side @ common)[:, None] * common)
+    x = np.sqrt(background) * common + np.sqrt(1 - background) * side
+    turn = draw.normal(size=(pairs, d))
+    turn = unit(turn - (turn * x[:pairs]).sum(axis=1)[:, None] * x[:pairs])
+    angle = np.arccos(cosine)
+    x = np.concatenate((x, np.cos(angle) * x[:pairs] + np.sin(angle) * turn))
+    frame = spark.createDataFrame([(i, v, 1) for i, v in enumerate(x.tolist())], "vec_id long, embedding array<double>, label long")
+    got = {r["vec_id"]: r for r in near_vectors.near_duplicate_vectors(frame).collect()}
+    assert sum(got[n + i]["component_id"] == got[i]["component_id"] for i in range(pairs)) >= 0.95 * pairs
+    true = sum(((x[at : at + 2000] @ x.T) >= near_vectors.THRESHOLD).sum() for at in range(0, len(x), 2000)) - len(x)
+    assert true * 0.95 <= sum(r["n_links"] for r in got.values()) <= true
+
+
+def test_sketches_bound_their_error():
+    draw = np.random.default_rng(2)
+    x = draw.normal(size=(300, 24))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    y, error = near_vectors.read_sketches(pa.array(near_vectors.sketches(x), pa.binary()))
+    assert (np.abs(x @ x.T - y @ y.T) <= error[:, None] + error[None, :] * (1 + error.max())).all() and error.max() < 1e-4
+
+
+def test_passes_follow_the_spread():
+    even, shifted = near_vectors.plan_label(50_000, 1.0), near_vectors.plan_label(50_000, 0.31)
+    assert even[1] == 10 and shifted[0] > 2 * even[0] and near_vectors.plan_label(50_000, 0.02) == (1, 0)
+    for rows in (10, 10**4, 10**7, 10**10):
+        for spread in (1.0, 0.4, 0.1):
+            passes, leading = near_vectors.plan_label(rows, spread)
+            agree = 1 - np.arccos(1 - (1 - near_vectors.THRESHOLD) / spread) / np.pi
+            assert (1 - agree**leading) ** passes <= near_vectors.MISS * 1.0001 if leading else passes == 1
