@@ -18,6 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -124,9 +125,11 @@ def near_duplicate_vectors(rows: DataFrame, threshold: float = THRESHOLD, window
     # A class's node is a hash of its content: it stays the same whichever task computes it.
     classes = materialise(classes.withColumns({"node": F.xxhash64("class"), "size": F.size("embedding")}), "vector-classes")
     keys = materialise(_keys(classes, threshold), "vector-keys")
-    found = materialise(_window_pairs(keys, threshold, window), "vector-pairs")
+    # Runs longer than a window: most of them are dense groups, others come about by chance.
+    long_runs = materialise(keys.groupBy(*_RUN_KEY).count().where(F.col("count") > window + 1).select(*_RUN_KEY), "vector-long")
+    found = materialise(_window_pairs(keys, long_runs, threshold, window), "vector-pairs")
     roots = connected_components(found.where("sure"))
-    apart = _apart(keys, roots, window)
+    apart = _apart(keys, long_runs, roots)
     if not apart.isEmpty():
         found = found.union(materialise(_between(apart, threshold), "vector-between"))
     roots = _joined(roots, found, classes, threshold)
@@ -215,7 +218,7 @@ def _keys(classes: DataFrame, threshold: float) -> DataFrame:
     return classes.select("label", "size", "node", "embedding").join(facts, ["label", "size"]).mapInArrow(keyed, _KEYS)
 
 
-def _window_pairs(keys: DataFrame, threshold: float, window: int) -> DataFrame:
+def _window_pairs(keys: DataFrame, long_runs: DataFrame, threshold: float, window: int) -> DataFrame:
     """Pairs of neighbours of a pass, in one run of leading signs."""
 
     def compared(rows: pa.Table | pa.RecordBatch, old: int) -> pa.RecordBatch:
@@ -245,13 +248,15 @@ def _window_pairs(keys: DataFrame, threshold: float, window: int) -> DataFrame:
                         yield _pair_rows(compared(part, old))
                     held, current = part.slice(max(0, part.num_rows - window)), run
         # Runs may go on in another partition: both ends of this one meet what borders on them once more.
-        for end in ([pa.concat_tables(head)] if head else []) + ([held] if held is not None else []):
-            yield from end.combine_chunks().to_batches()
+        here = TaskContext.get().partitionId()
+        for end, border in ((pa.concat_tables(head) if head else None, here), (held, here + 1)):
+            for batch in end.combine_chunks().to_batches() if end is not None else ():
+                yield batch.append_column("border", pa.array(np.full(batch.num_rows, border, np.int32)))
 
     def _pair_rows(pairs: pa.RecordBatch) -> pa.RecordBatch:
         n = pairs.num_rows
         nulls = {"pass": pa.int32(), "label": pa.int64(), "size": pa.int32(), "run": pa.int64(), "key": pa.int64(), "node": pa.int64(), "sketch": pa.binary()}
-        return pa.RecordBatch.from_arrays([pa.nulls(n, t) for t in nulls.values()] + list(pairs.columns), names=[*nulls, "a", "b", "sure"])
+        return pa.RecordBatch.from_arrays([pa.nulls(n, t) for t in nulls.values()] + [pa.nulls(n, pa.int32()), *pairs.columns], names=[*nulls, "border", "a", "b", "sure"])
 
     def told(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for out in in_order(batches):
@@ -263,7 +268,7 @@ def _window_pairs(keys: DataFrame, threshold: float, window: int) -> DataFrame:
     order = ["pass", "label", "size", "key", "node"]
     parts = max(1, int(keys.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     ordered = keys.repartitionByRange(parts, *order).sortWithinPartitions(*order)
-    found = materialise(ordered.mapInArrow(told, f"{_KEYS}, {_PAIRS}"), "vector-windows")
+    found = materialise(ordered.mapInArrow(told, f"{_KEYS}, border int, {_PAIRS}"), "vector-windows")
 
     def across(rows: pa.Table) -> pa.Table:
         rows = rows.sort_by([("key", "ascending"), ("node", "ascending")])
@@ -271,19 +276,20 @@ def _window_pairs(keys: DataFrame, threshold: float, window: int) -> DataFrame:
         rows = rows.filter(pa.array(np.append(True, node[1:] != node[:-1])))
         return pa.Table.from_batches([compared(rows, 0)])
 
-    # At most two windows of rows for each partition that a run lies in.
-    ends = found.where("a is null").select(*_RUN_KEY, "key", "node", "sketch")
-    cut = ends.groupBy(*_RUN_KEY).applyInArrow(across, _PAIRS)
+    # A run of at most a window's rows meets as a whole, a longer one border by border: two windows of rows at most.
+    # (Where it crosses a partition shorter than a window, the comparison of long runs block by block has the rest.)
+    ends = found.where("a is null").select(*_RUN_KEY, "key", "node", "sketch", "border")
+    marked = ends.join(long_runs.withColumn("long", F.lit(True)), _RUN_KEY, "left").withColumn("border", F.when(F.col("long"), F.col("border")).otherwise(-1))
+    cut = materialise(marked, "vector-ends").groupBy(*_RUN_KEY, "border").applyInArrow(across, _PAIRS)
     return found.where("a is not null").select("a", "b", "sure").union(cut).groupBy("a", "b").agg(F.max("sure").alias("sure"))
 
 
-def _apart(keys: DataFrame, roots: DataFrame, window: int) -> DataFrame:
-    """``pass, label, size, run, node, root, other, sketch, blocks, others``: members of runs longer than the window, with several components.
+def _apart(keys: DataFrame, long_runs: DataFrame, roots: DataFrame) -> DataFrame:
+    """``pass, label, size, run, node, root, other, sketch, blocks, others``: members of long runs with several components.
 
     ``other`` marks those outside the run's largest component; ``blocks`` and ``others`` are how many blocks all and
     those are dealt to.
     """
-    long_runs = materialise(keys.groupBy(*_RUN_KEY).count().where(F.col("count") > window + 1).select(*_RUN_KEY), "vector-long")
     rows = keys.select(*_RUN_KEY, "node", "sketch").join(long_runs, _RUN_KEY, "left_semi")
     rooted = materialise(rows.join(roots, "node", "left").select(*_RUN_KEY, "node", F.coalesce("root", "node").alias("root"), "sketch"), "vector-runs")
     per = rooted.groupBy(*_RUN_KEY, "root").count()

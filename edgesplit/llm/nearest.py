@@ -111,7 +111,7 @@ def nearest(rows: DataFrame, is_query: Column, k: int = NEIGHBOURS, projections:
     clean = materialise(clean.withColumn("dim", F.size("embedding")), "nearest-rows")
     # One row for each length of vectors.
     known = {r["dim"]: (r["n"], r["wanted"]) for r in clean.groupBy("dim").agg(F.count("*").alias("n"), F.count(F.when(F.col("q"), 1)).alias("wanted")).collect()}
-    samples = {d: _sample(clean, d) for d, (_, wanted) in known.items() if wanted}
+    samples = {d: _sample(clean, d, n) for d, (n, wanted) in known.items() if wanted}
     total, wanted = sum(n for n, _ in known.values()), sum(w for _, w in known.values())
     blocks, query_blocks = max(1, -(-total // block_rows)), max(1, -(-wanted // query_rows))
     data = clean.select("vec_id", "embedding", "dim", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("long").alias("block"), F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("query_block"))
@@ -173,8 +173,9 @@ def nearest(rows: DataFrame, is_query: Column, k: int = NEIGHBOURS, projections:
     return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score", "verified")
 
 
-def _sample(clean: DataFrame, dimension: int) -> np.ndarray:
-    """A bounded sample of the vectors of one length: those of least hash."""
+def _sample(clean: DataFrame, dimension: int, rows: int) -> np.ndarray:
+    """A sample, bounded in expectation, of the vectors of one length: those whose hash falls on a share of its values."""
     n = max(64, min(SAMPLE_ROWS, SAMPLE_VALUES // dimension))
-    found = clean.where(F.col("dim") == dimension).orderBy(F.xxhash64("vec_id", F.lit(5)), "vec_id").limit(n).select("embedding").toArrow()
+    chosen = (F.col("dim") == dimension) & (F.pmod(F.xxhash64("vec_id", F.lit(5)), F.lit(rows)) < n)
+    found = clean.where(chosen).select("vec_id", "embedding").toArrow().sort_by("vec_id")
     return matrix(found.column("embedding"))
