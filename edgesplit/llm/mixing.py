@@ -1,9 +1,9 @@
 """Mixing sources to target weights by weighted fair queueing.
 
 Every copy of a document gets a virtual finish time: the words its source has sent up to and
-including it, in shuffled order, divided by the source's target.  The targets add up to the total
-budget, so the global order by virtual time reaches the budget at virtual time 1: what starts before
-it is taken, and the copy that crosses it is cut there.
+including it, in shuffled order, divided by the source's target.  Copies are range-sorted by it.  The
+targets add up to the total budget, so all sources together have sent the budget at virtual time 1:
+the mix is truncated there, and a copy that is being sent at that time is cut.
 """
 
 from __future__ import annotations
@@ -16,9 +16,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.storage import materialise
+from .columns import Packed
 
 WORD = r"[^\x20\x09-\x0D]+"
-BUCKETS = 1024
+#: Hash ranges of a source at least, and about how many rows one may hold.
+BUCKETS, ROWS_AT_ONCE = 1024, 100_000
 
 
 def word_count(text):
@@ -58,53 +60,72 @@ def source_targets(sizes: DataFrame, most_repeats: int = 3) -> DataFrame:
     return shared.select("source", F.col("source_size").cast("long").alias("source_size"), F.col("weight").cast("int").alias("weight"), target.alias("target"))
 
 
-def plan_mix(docs: DataFrame, most_repeats: int = 3) -> DataFrame:
-    """``docs`` with ``size, source_size, target, start, taken``; no row is lost.
+def _place(rows: DataFrame, most_repeats: int) -> DataFrame:
+    """``rows`` (doc_id, source, size and more) and ``source_size, target, start``: the words that a row's source sends before it.
 
-    ``start`` is the number of words that the source sends before this row in its shuffled order;
-    ``taken`` the words that the mix takes, repeats counted, never over ``most_repeats`` times size.
-    A null text has size 0, a null source is a source like any other and comes last, repeated rows
-    are dealt one by one, an empty table gives an empty result.  Columns of these names are replaced.
+    A source's rows are in the order of a hash of their doc_id.  Running sums take two levels: ranges of
+    that hash, as many as the rows need, then rows inside a range; no source's rows meet in one task.
     """
-    names = ("size", "source_size", "target", "start", "taken")
-    kept = [c for c in docs.columns if c not in names]
+    buckets = max(BUCKETS, -(-rows.count() // ROWS_AT_ONCE))
     digest = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))
-    sized = docs.withColumn("size", word_count(F.col("text"))).select(*[F.col(f"`{c}`") for c in kept if c != "text"], *(["text"] if "text" in kept else []), "size")
-    sized = sized.withColumn("__digest", digest)
-    sized = sized.withColumn("__bucket", F.floor(F.conv(F.substring("__digest", 1, 8), 16, 10).cast("long") * BUCKETS / F.lit(float(1 << 32))).cast("int"))
-
-    narrow = docs.select("source", word_count(F.col("text")).alias("size"), F.floor(F.conv(F.substring(digest, 1, 8), 16, 10).cast("long") * BUCKETS / F.lit(float(1 << 32))).cast("int").alias("__bucket"))
-    per_bucket = narrow.groupBy("source", "__bucket").agg(F.sum("size").alias("size"))
-    per_bucket = materialise(per_bucket, "mix-buckets")
+    bucket = F.floor(F.conv(F.substring("digest", 1, 8), 16, 10).cast("long") * buckets / F.lit(float(1 << 32))).cast("int")
+    dealt = rows.withColumn("digest", digest).withColumn("bucket", bucket)
+    per_bucket = materialise(dealt.groupBy("source", "bucket").agg(F.sum("size").alias("size")), "mix-buckets")
     targets = source_targets(per_bucket, most_repeats)
-    before = Window.partitionBy("source").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = per_bucket.select("source", "__bucket", F.coalesce(F.sum("size").over(before), F.lit(0)).alias("__offset"))
+    before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = per_bucket.select("source", "bucket", F.coalesce(F.sum("size").over(before), F.lit(0)).alias("offset"))
     facts = offsets.alias("o").join(targets.alias("t"), F.col("o.source").eqNullSafe(F.col("t.source"))).select(
-        F.col("o.source").alias("__source"), F.col("__bucket").alias("__b"), "__offset", "source_size", "target"
+        F.col("o.source").alias("of_source"), F.col("bucket").alias("of_bucket"), "offset", "source_size", "target"
     )
-    inside = Window.partitionBy("source", "__bucket").orderBy("__digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    run = sized.withColumn("__inside", F.coalesce(F.sum("size").over(inside), F.lit(0)))
-    joined = run.join(facts, F.col("source").eqNullSafe(F.col("__source")) & (F.col("__bucket") == F.col("__b")), "left")
-    start = F.col("__offset") + F.col("__inside")
+    inside = Window.partitionBy("source", "bucket").orderBy("digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    run = dealt.withColumn("inside", F.coalesce(F.sum("size").over(inside), F.lit(0)))
+    joined = run.join(facts, F.col("source").eqNullSafe(F.col("of_source")) & (F.col("bucket") == F.col("of_bucket")), "left")
+    return joined.withColumn("start", F.col("offset") + F.col("inside")).select(*rows.columns, "source_size", "target", "start")
+
+
+def _copies(placed: DataFrame) -> DataFrame:
+    """A row for each copy that starts before the budget's virtual time, and one at least for each row, in the order of
+    ``virtual_finish``; ``words`` are those that it sends before that time."""
     budget = F.floor(F.col("target") + 0.5).cast("long")
-    rounds = F.when(F.col("source_size") > 0, F.floor(budget / F.col("source_size")).cast("long")).otherwise(F.lit(0))
-    part = F.greatest(F.lit(0), F.least(F.col("size"), budget - rounds * F.col("source_size") - start))
-    return joined.select(*[F.col(f"`{c}`") for c in kept], "size", "source_size", "target", start.alias("start"), (rounds * F.col("size") + part).cast("long").alias("taken"))
+    rounds = F.when(F.col("source_size") > 0, F.greatest(F.lit(1), F.ceil((budget - F.col("start")) / F.col("source_size")))).otherwise(F.lit(1))
+    rows = placed.select("*", F.explode(F.sequence(F.lit(0), rounds.cast("int") - 1)).alias("copy"))
+    begin = F.col("copy") * F.col("source_size") + F.col("start")
+    finish = F.when(F.col("target") > 0, (begin + F.col("size")) / F.col("target"))
+    rows = rows.withColumns({"virtual_finish": finish, "words": F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), budget - begin))})
+    return rows.repartitionByRange("virtual_finish", "doc_id").sortWithinPartitions("virtual_finish", "doc_id", "copy")
+
+
+def plan_mix(docs: DataFrame, most_repeats: int = 3) -> DataFrame:
+    """``doc_id, source, size, source_size, target, start, taken`` for every row of ``docs``.
+
+    ``start`` is the number of words that the source sends before this row in its shuffled order;
+    ``taken`` the words of all its copies that the mix sends before it is truncated, never over
+    ``most_repeats`` times size.  A null text has size 0, a null source is a source like any other and
+    comes last, repeated rows are dealt one by one, an empty table gives an empty result.  Other
+    columns are left out.
+    """
+    sized = materialise(docs.select("doc_id", "source", word_count(F.col("text")).alias("size")), "mix-sizes")
+    row = ["doc_id", "source", "size", "source_size", "target", "start"]
+    served = _copies(_place(sized, most_repeats))
+    # Rows that agree in all of this send no words; they come back as often as they came.
+    taken = served.groupBy(*row).agg(F.sum("words").alias("taken"), F.sum((F.col("copy") == 0).cast("int")).alias("times"))
+    return taken.select(*row, "taken", F.explode(F.sequence(F.lit(1), F.col("times").cast("int")))).drop("col")
 
 
-def take_copies(planned: DataFrame) -> DataFrame:
-    """The mix itself: a row for each whole copy taken, and one cut to its first words at the budget.
+def take_copies(docs: DataFrame, most_repeats: int = 3) -> DataFrame:
+    """The mix itself: ``docs`` with a row for each copy taken, cut to its first words where the mix is truncated.
 
-    Adds ``copy`` (from 0) and ``virtual_finish``; rows are range-sorted by it, so a reader of the
-    files in order sees every source at its target rate.
+    Adds ``size, source_size, target, start, copy`` (from 0), ``virtual_finish`` and ``words`` (those of
+    the copy); columns of these names are replaced.  Rows are range-sorted by ``virtual_finish``, so a
+    reader of the files in order sees every source at its target rate.  Odd rows are dealt with as in
+    ``plan_mix``; rows of size 0 are in no mix.
     """
-    columns = [c for c in planned.columns if c not in ("copy", "virtual_finish")]
-    copies = F.when(F.col("taken") > 0, F.sequence(F.lit(0), F.ceil(F.col("taken") / F.col("size")).cast("int") - 1)).otherwise(F.array().cast("array<int>"))
-    rows = planned.select(*[F.col(f"`{c}`") for c in columns], F.explode(copies).alias("copy"))
-    finish = (F.col("copy") * F.col("source_size") + F.col("start") + F.least(F.col("size"), F.col("taken") - F.col("copy") * F.col("size"))) / F.col("target")
-    rows = rows.withColumn("virtual_finish", finish).withColumn("__keep", F.least(F.col("size"), F.col("taken") - F.col("copy") * F.col("size")))
-    rows = rows.mapInArrow(_cut_texts, rows.schema)
-    return rows.drop("__keep").repartitionByRange("virtual_finish", "doc_id").sortWithinPartitions("virtual_finish", "doc_id")
+    made = ["size", "source_size", "target", "start", "copy", "virtual_finish", "words"]
+    own = Packed(docs, made, ("doc_id", "source", "text"))
+    placed = _place(own.rows.withColumn("size", word_count(F.col("text"))), most_repeats)
+    served = _copies(placed.where("size > 0")).where("words > 0")
+    cut = served.mapInArrow(_cut_texts, served.schema)
+    return cut.select(*own.back(), *made)
 
 
 _SPAN = re.compile(WORD)
@@ -125,7 +146,7 @@ def _cut_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not batch.num_rows:
             continue
         at = batch.schema.get_field_index("text")
-        size, keep = batch.column("size").to_pylist(), batch.column("__keep").to_pylist()
+        size, keep = batch.column("size").to_pylist(), batch.column("words").to_pylist()
         if any(s != k for s, k in zip(size, keep, strict=True)):
             texts = [t if s == k or t is None else first_words(t, k) for t, s, k in zip(batch.column(at).to_pylist(), size, keep, strict=True)]
             batch = batch.set_column(at, batch.schema.field(at), pa.array(texts, batch.schema.field(at).type))

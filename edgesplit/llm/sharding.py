@@ -15,6 +15,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .columns import Packed
+
 _ATOMIC = (T.NumericType, T.StringType, T.BooleanType, T.DateType, T.TimestampType, T.BinaryType)
 
 
@@ -79,30 +81,32 @@ def shuffle_into_shards(
     if shards < 1:
         raise ValueError("shards must be at least 1")
     spark = rows.sparkSession
-    kept = [c for c in rows.columns if c not in ("shard", "slot")]
     total = rows.count()
     buckets = max(least_buckets, -(-total // rows_per_bucket))
     parts = max(-(-least_buckets // 4), -(-total // (shards * rows_per_bucket)))
-    tie = F.xxhash64(*[F.col(f"`{f.name}`") for f in rows.schema.fields if isinstance(f.dataType, _ATOMIC) and f.name in kept])
+    atomic = [F.col(f"`{f.name}`") for f in rows.schema.fields if isinstance(f.dataType, _ATOMIC) and f.name not in ("shard", "slot")]
+    own = Packed(rows, ("shard", "slot"), (key,), [(F.xxhash64(*atomic) if atomic else F.lit(0).cast("long")).alias("tie")])
 
-    first = F.xxhash64(F.col(f"`{key}`"), F.lit(seed))
-    second = F.xxhash64(F.lit(seed + 1), F.col(f"`{key}`"), F.lit("slot"))
-    dealt = rows.select(*[F.col(f"`{c}`") for c in kept]).withColumns({"__first": first, "__second": second, "__tie": tie})
-    dealt = dealt.withColumn("__bucket", _range_of(F.col("__first"), buckets))
+    # The rest of the row takes part, so that rows without a key, or with one key, spread over all buckets.
+    first = F.xxhash64(F.col(key), F.lit(seed), "tie")
+    second = F.xxhash64(F.lit(seed + 1), F.col(key), F.lit("slot"), "tie")
+    dealt = own.rows.withColumns({"first": first, "second": second, "bucket": _range_of(first, buckets)})
 
-    counted = {r["__bucket"]: r["n"] for r in rows.select(_range_of(first, buckets).alias("__bucket")).groupBy("__bucket").agg(F.count("*").alias("n")).collect()}
+    counted = {r["bucket"]: r["n"] for r in own.rows.select(_range_of(first, buckets).alias("bucket")).groupBy("bucket").agg(F.count("*").alias("n")).collect()}
     matrix = communication_matrix([counted.get(b, 0) for b in range(buckets)], shards, seed)
     ends = np.cumsum(matrix, axis=1)
-    table = spark.createDataFrame([(b, ends[b].tolist()) for b in range(buckets) if b in counted], "__bucket int, __ends array<bigint>")
-
-    local = Window.partitionBy("__bucket").orderBy("__first", "__tie")
-    dealt = dealt.withColumn("__rank", F.row_number().over(local) - 1).join(table, "__bucket")
-    dealt = dealt.withColumn("shard", F.size(F.filter("__ends", lambda e: e <= F.col("__rank"))).cast("int"))
-    dealt = dealt.withColumn("__part", _range_of(F.col("__second"), parts)).drop("__ends", "__rank", "__first", "__bucket")
-
-    sizes = dealt.groupBy("shard", "__part").agg(F.count("*").alias("__n"))
-    before = Window.partitionBy("shard").orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sizes.select("shard", "__part", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__start"))
-    within = Window.partitionBy("shard", "__part").orderBy("__second", "__tie")
-    placed = dealt.withColumn("__place", F.row_number().over(within) - 1).join(starts, ["shard", "__part"])
-    return placed.select(*[F.col(f"`{c}`") for c in kept], "shard", (F.col("__start") + F.col("__place")).cast("long").alias("slot"))
+    table = spark.createDataFrame([(b, ends[b].tolist()) for b in range(buckets) if b in counted], "bucket int, ends array<bigint>")
+
+    # Left joins, though every row has a match: an inner one would push a null check of the hashes below the caller's columns,
+    # where planning can take time exponential in their number.
+    local = Window.partitionBy("bucket").orderBy("first", "tie")
+    dealt = dealt.withColumn("rank", F.row_number().over(local) - 1).join(table, "bucket", "left")
+    dealt = dealt.withColumn("shard", F.size(F.filter("ends", lambda e: e <= F.col("rank"))).cast("int"))
+    dealt = dealt.withColumn("part", _range_of(F.col("second"), parts)).drop("ends", "rank", "first", "bucket")
+
+    sizes = dealt.groupBy("shard", "part").agg(F.count("*").alias("n"))
+    before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select("shard", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("begin"))
+    within = Window.partitionBy("shard", "part").orderBy("second", "tie")
+    placed = dealt.withColumn("place", F.row_number().over(within) - 1).join(starts, ["shard", "part"], "left")
+    return placed.select(*own.back(), "shard", (F.col("begin") + F.col("place")).cast("long").alias("slot"))

@@ -1,12 +1,12 @@
 """SimHash near-duplicates by pivot distance tables.
 
-A fingerprint's table holds its Hamming distances to many reference fingerprints.  References come
-in five groups and a far set.  Those of a group differ from the zero reference within one block of
-bits only, so two fingerprints that differ in few bits agree in all distances (less that to the zero
-reference) of most groups: agreeing on the groups outside a choice of blocks is the bucket key, and
-no link is lost.  In a bucket, pairs whose tables differ in any coordinate by more than the allowed
-bits are discarded, and survivors are verified.  A bucket too large for pairs deals its members once
-more by every choice of bits that a link may change, where groups have a handful of members.
+A fingerprint's table holds its Hamming distances to many reference fingerprints.  No distance may
+differ by more than a link's bits, so pairs whose tables differ more in any coordinate are discarded,
+and survivors are verified.  Which pairs are looked at follows from references too: those of a group
+differ from a zero reference within one group of bits only, so their distances say what a fingerprint's
+bits there are.  Fingerprints that differ in few bits agree in most groups; a bucket holds those that
+agree in all groups but a choice of as many as a link may change, and no link is lost.  A bucket with too
+many members is dealt again, by groups of the bits that its members may differ in, until few are left.
 """
 
 from __future__ import annotations
@@ -24,6 +24,7 @@ from ..plans.storage import materialise
 from . import words as W
 
 BITS = 64
+#: Members of a bucket that are compared pair by pair.
 MAX_PAIRED = 48
 _CHUNK = 1 << 20
 
@@ -81,47 +82,44 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
 
 
 class Pivots:
-    """Reference fingerprints and the bucket keys that their distances give."""
+    """Reference fingerprints, the buckets that distances to groups of them give, and the far table that discards pairs."""
 
     def __init__(self, max_bits: int, far: int = 16, seed: int = 11) -> None:
-        self.max_bits = max_bits
-        groups = max_bits + 3
-        edges = [round(i * BITS / groups) for i in range(groups + 1)]
-        self.blocks = [list(range(a, b)) for a, b in zip(edges, edges[1:], strict=False)]
-        prefixes = [np.bitwise_or.accumulate(np.uint64(1) << np.array(block, np.uint64)) for block in self.blocks]
-        self.near = np.concatenate(prefixes)
-        self.group_of = np.repeat(np.arange(groups), [len(b) for b in self.blocks])
-        draw = np.random.default_rng(seed)
-        self.far = draw.integers(0, 1 << 64, far, dtype=np.uint64)
-        self._weights = draw.integers(1, 1 << 63, len(self.near), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.choices = list(combinations(range(groups), max_bits))
-        self.free = [sorted(x for g in choice for x in self.blocks[g]) for choice in self.choices]
-
-    def near_table(self, fps: np.ndarray) -> np.ndarray:
-        """Distances to the group references, less the distance to the zero reference."""
-        zero = np.bitwise_count(fps).astype(np.int16)
-        return np.bitwise_count(fps[:, None] ^ self.near[None, :]).astype(np.int16) - zero[:, None]
+        self.max_bits, self.groups = max_bits, max_bits + 3
+        self.far = np.random.default_rng(seed).integers(0, 1 << 64, far, dtype=np.uint64)
 
     def far_table(self, fps: np.ndarray) -> np.ndarray:
-        return np.bitwise_count(fps[:, None] ^ self.far[None, :]).astype(np.int8)
+        return np.bitwise_count(fps[:, None] ^ self.far[None, :]).astype(np.int16)
 
-    def keys(self, fps: np.ndarray) -> np.ndarray:
-        """A key for each choice of groups that may differ: a hash of all coordinates of the others."""
-        parts = np.zeros((len(fps), len(self.blocks)), np.uint64)
-        mixed = (self.near_table(fps).astype(np.int64).view(np.uint64) + np.uint64(97)) * self._weights[None, :]
-        for g in range(len(self.blocks)):
-            parts[:, g] = mixed[:, self.group_of == g].sum(axis=1, dtype=np.uint64)
-        whole = parts.sum(axis=1, dtype=np.uint64)
-        return np.stack([W.mix(whole - parts[:, list(c)].sum(axis=1, dtype=np.uint64) + np.uint64(i)) for i, c in enumerate(self.choices)], axis=1)
+    def freed(self, free: int) -> list[int]:
+        """For each choice of groups that may differ: their bits.  ``free`` has the bits that members of a bucket may differ in."""
+        bits = [x for x in range(BITS) if free >> x & 1]
+        edges = [round(i * len(bits) / self.groups) for i in range(self.groups + 1)]
+        masks = [sum(1 << x for x in bits[i:j]) for i, j in zip(edges, edges[1:], strict=False)]
+        return sorted({sum(c) for c in combinations(masks, self.max_bits)})
 
+    def group_table(self, fps: np.ndarray, bits: int) -> np.ndarray:
+        """Distances to the references of the given bits, one prefix of them each, less that to the zero reference."""
+        prefixes = np.bitwise_or.accumulate(np.array([1 << x for x in range(BITS) if bits >> x & 1], np.uint64))
+        return np.bitwise_count(fps[:, None] ^ prefixes[None, :]).astype(np.int16) - np.bitwise_count(fps)[:, None].astype(np.int16)
 
-def _within(fps: np.ndarray, far: np.ndarray, max_bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of a small bucket: discarded by the largest coordinate difference, then verified."""
+    def keys(self, fps: np.ndarray, free: int) -> Iterator[tuple[int, np.ndarray]]:
+        """The bits that each choice frees, and each fingerprint's key: a hash of what its group tables say of all others.
+
+        Neighbours in a group table differ by one, up or down as the bit is: it holds the same as the bits.
+        """
+        for bits in self.freed(free):
+            yield bits, W.mix(W.mix(fps & ~np.uint64(bits)) ^ W.mix(np.full(1, bits, np.uint64) + np.uint64(1)))
+
+
+def _within(fps: np.ndarray, far: np.ndarray, max_bits: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """Pairs of a small bucket: discarded by the largest coordinate difference (how many), then verified."""
     i, j = np.triu_indices(len(fps), 1)
-    close = np.abs(far[i].astype(np.int16) - far[j]).max(axis=1) <= max_bits
+    close = np.abs(far[i] - far[j]).max(axis=1) <= max_bits
+    discarded = len(i) - int(close.sum())
     i, j = i[close], j[close]
     same = np.bitwise_count(fps[i] ^ fps[j]) <= max_bits
-    return i[same], j[same]
+    return i[same], j[same], discarded
 
 
 def _spanning(n: int, i: np.ndarray, j: np.ndarray) -> list[tuple[int, int]]:
@@ -143,70 +141,88 @@ def _spanning(n: int, i: np.ndarray, j: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
+_LINKS = "a long, b long, free long, pairs long, discarded long, survivors long"
+
+
 def link_edges(distinct: DataFrame, max_bits: int = 2, max_paired: int = MAX_PAIRED) -> DataFrame:
     """``a, b``: fingerprints that link directly, enough of them to span every component.
 
-    ``distinct`` has one row for each fingerprint ``fp``.
+    ``distinct`` has one row for each fingerprint ``fp``; ``max_paired`` is 2 to the power of ``max_bits`` at least.
     """
+    return compared_buckets(distinct, max_bits, max_paired).where("b is not null").select("a", "b").distinct()
+
+
+def pivot_counts(distinct: DataFrame, max_bits: int = 2, max_paired: int = MAX_PAIRED) -> DataFrame:
+    """``pairs, discarded, survivors``: pairs of members of buckets, those that the far table discarded, and the rest, which were verified."""
+    return compared_buckets(distinct, max_bits, max_paired).agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("pairs", "discarded", "survivors")])
+
+
+def compared_buckets(distinct: DataFrame, max_bits: int = 2, max_paired: int = MAX_PAIRED) -> DataFrame:
+    """Links (``a, b``) and counts (``pairs, discarded, survivors``) of all buckets, each with up to ``max_paired`` members."""
     pivots = Pivots(max_bits)
+    if max_paired < 1 << max_bits:
+        raise ValueError("max_paired must hold all fingerprints that differ in max_bits given bits")
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = np.asarray(batch.column("fp")).view(np.uint64)
-            keys, n = pivots.keys(fps), len(pivots.choices)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(keys.ravel().view(np.int64)), pa.array(np.tile(np.arange(n, dtype=np.int32), len(fps))), pa.array(np.repeat(fps.view(np.int64), n))], names=["key", "choice", "fp"]
-            )
+            fps, free = (np.asarray(batch.column(c)).view(np.uint64) for c in ("fp", "free"))
+            for own_free in np.unique(free).tolist():
+                own = fps[free == own_free]
+                for bits, keys in pivots.keys(own, own_free):
+                    freed = np.full(len(own), bits, np.uint64)
+                    yield pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (keys, own, freed)], names=["key", "fp", "free"])
 
     def bucketed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        run_key, run_choice, held, large = None, 0, [], False
-
-        def masked(fps: np.ndarray, choice: int) -> pa.RecordBatch:
-            pairs = list(combinations(pivots.free[choice], max_bits))
-            masks = np.array([sum(1 << x for x in p) for p in pairs], np.uint64)
-            a = np.repeat(fps, len(masks))
-            return _edges(a.view(np.int64), (a & ~np.tile(masks, len(fps))).view(np.int64), np.tile(masks, len(fps)).view(np.int64))
+        run_key, free, held, large = None, 0, [], False
+        counts = np.zeros(3, np.int64)
 
         def close() -> Iterator[pa.RecordBatch]:
             if not large and len(held) > 1:
                 fps = np.array(held, np.int64).view(np.uint64)
-                tree = _spanning(len(fps), *_within(fps, pivots.far_table(fps), max_bits))
+                i, j, discarded = _within(fps, pivots.far_table(fps), max_bits)
+                pairs = len(fps) * (len(fps) - 1) // 2
+                counts[:] += (pairs, discarded, pairs - discarded)
+                tree = _spanning(len(fps), i, j)
                 if tree:
                     ends = fps.view(np.int64)[np.array(tree)]
-                    yield _edges(ends[:, 0], ends[:, 1], np.zeros(len(tree), np.int64))
+                    yield _links(ends[:, 0], ends[:, 1])
 
         for batch in batches:
-            keys, choices, fps = (np.asarray(batch.column(c)) for c in ("key", "choice", "fp"))
-            cuts = np.flatnonzero(np.diff(keys)) + 1 if len(keys) else []
-            for a, b in zip(np.concatenate(([0], cuts)).astype(int), np.concatenate((cuts, [len(keys)])).astype(int), strict=True):
+            keys, frees, fps = (np.asarray(batch.column(c)) for c in ("key", "free", "fp"))
+            cuts = np.flatnonzero(np.diff(keys)) + 1
+            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(keys)], strict=True):
                 if a == b:
                     continue
                 if keys[a] != run_key:
                     yield from close()
-                    run_key, run_choice, held, large = keys[a], int(choices[a]), [], False
+                    run_key, free, held, large = keys[a], frees[a], [], False
                 own = fps[a:b]
                 if not large and len(held) + len(own) <= max_paired:
                     held += own.tolist()
                     continue
-                members = np.concatenate((np.array(held, np.int64), own)).view(np.uint64)
+                members = np.concatenate((np.array(held, np.int64), own))
                 held, large = [], True
-                for k in range(0, len(members), 256):
-                    yield masked(members[k : k + 256], run_choice)
+                yield _links(members, None, np.full(len(members), free))
         yield from close()
-
-    rows = distinct.select("fp").mapInArrow(keyed, "key long, choice int, fp long")
-    parts = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    found = rows.repartition(parts, "key").sortWithinPartitions("key", "fp").mapInArrow(bucketed, "a long, b long, mask long")
-    found = materialise(found, "simhash-links")
-    small = found.where("mask = 0").select("a", "b")
-    # A masked group holds at most 2^max_bits fingerprints, so its set is bounded.
-    groups = found.where("mask <> 0").groupBy("mask", "b").agg(F.collect_set("a").alias("s")).where(F.size("s") > 1)
-    stars = groups.select(F.array_min("s").alias("a"), F.explode("s").alias("b")).where("a <> b")
-    return small.union(stars).distinct()
-
-
-def _edges(a: np.ndarray, b: np.ndarray, mask: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(mask)], names=["a", "b", "mask"])
+        yield _links(np.zeros(0, np.int64), None, np.zeros(0, np.int64), counts)
+
+    rows, out = distinct.select("fp", F.lit(-1).cast("long").alias("free")), None
+    while True:
+        found = rows.mapInArrow(keyed, "key long, fp long, free long").repartition("key").sortWithinPartitions("key", "fp").mapInArrow(bucketed, _LINKS)
+        found = materialise(found, "simhash-links")
+        told = found.where("b is not null or pairs is not null")
+        out = told if out is None else out.union(told)
+        rows = found.where("free is not null").select(F.col("a").alias("fp"), "free").distinct()
+        if rows.isEmpty():  # freed bits get fewer with every deal: in the end a bucket's members differ in max_bits bits only
+            return out
+
+
+def _links(a: np.ndarray, b: np.ndarray | None, free: np.ndarray | None = None, counts: np.ndarray | None = None) -> pa.RecordBatch:
+    """Links, members of a large bucket with its free bits, or one row of counts."""
+    n = 1 if counts is not None else len(a)
+    column = lambda x: pa.array(x.astype(np.int64)) if x is not None and len(x) == n else pa.nulls(n, pa.int64())
+    tallies = [pa.array([int(x)]) for x in counts] if counts is not None else [pa.nulls(n, pa.int64())] * 3
+    return pa.RecordBatch.from_arrays([column(a), column(b), column(free), *tallies], names=[c.split()[0] for c in _LINKS.split(", ")])
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, max_bits: int = 2) -> DataFrame:

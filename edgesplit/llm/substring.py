@@ -11,7 +11,7 @@ costs one entry for each chunk of texts.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 
 from ..plans.storage import materialise
 from . import words as W
+from .columns import Packed
 from .mixing import word_count
 
 WINDOW = 13
@@ -295,18 +296,23 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     rows with one doc_id are one document to others, each keeps its own text; an empty table gives
     an empty result.  Columns with the names of results are replaced.
     """
-    return _joined(docs, whole_words(F.col("text")), removals(docs, window), "kept_text")
+    return _joined(docs, whole_words, removals(docs, window), "kept_text", "kept_text")
+
+
+def cut_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+    """As ``remove_repeats``, but with what is left as ``text``: a text that loses nothing stays as it is, blanks and null too."""
+    return _joined(docs, lambda text: text, removals(docs, window), "kept_text", "text")
 
 
 def repeat_digests(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """As ``remove_repeats``, with ``kept_sha256`` instead of the text, so that no text is shuffled for it."""
     cut = removals(docs, window).withColumn("kept_sha256", F.sha2("kept_text", 256)).drop("kept_text")
-    return _joined(docs, F.sha2(whole_words(F.col("text")), 256), cut, "kept_sha256")
+    return _joined(docs, lambda text: F.sha2(whole_words(text), 256), cut, "kept_sha256", "kept_sha256")
 
 
-def _joined(docs: DataFrame, whole: Column, cut: DataFrame, result: str) -> DataFrame:
-    kept = [c for c in docs.columns if c not in (result, "n_words", "n_removed", "text")]
-    rows = docs.select(*[F.col(f"`{c}`") for c in kept], text_key(F.col("text")).alias("__key"), whole.alias("__whole"), word_count(F.col("text")).alias("__words"))
-    cut = cut.select(F.col("doc_id").alias("__doc"), F.col("text_key").alias("__cut"), F.col(result).alias("__left"), "n_removed")
-    both = rows.join(cut, (F.col("doc_id") == F.col("__doc")) & (F.col("__key") == F.col("__cut")), "left")
-    return both.select(*[F.col(f"`{c}`") for c in kept], F.coalesce("__left", "__whole").alias(result), F.col("__words").alias("n_words"), F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"))
+def _joined(docs: DataFrame, whole: Callable[[Column], Column], cut: DataFrame, left: str, result: str) -> DataFrame:
+    own, text = Packed(docs, {result, "n_words", "n_removed"} - {"text"}, ("doc_id", "text")), F.col("text")
+    rows = own.rows.select("row", "doc_id", text_key(text).alias("key"), whole(text).alias("whole"), word_count(text).alias("words"))
+    cut = cut.select(F.col("doc_id").alias("cut_doc"), F.col("text_key").alias("cut_key"), F.col(left).alias("left_over"), F.col("n_removed").alias("gone"))
+    both = rows.join(cut, (F.col("doc_id") == F.col("cut_doc")) & (F.col("key") == F.col("cut_key")), "left")
+    return both.select(*own.back("text"), F.coalesce("left_over", "whole").alias(result), F.col("words").alias("n_words"), F.coalesce("gone", F.lit(0)).cast("long").alias("n_removed"))

@@ -106,6 +106,34 @@ def test_links_of_large_buckets(spark):
     assert {x: root(x) for x in prints} == want
 
 
+def test_pivots_discard_and_lose_nothing():
+    draw = np.random.default_rng(6)
+    fps = draw.integers(0, 1 << 64, 400, dtype=np.uint64)
+    near = fps ^ (np.uint64(1) << draw.integers(0, 64, 400, dtype=np.uint64)) ^ (np.uint64(1) << draw.integers(0, 64, 400, dtype=np.uint64))
+    pivots = simhash.Pivots(2)
+    assert (np.abs(pivots.far_table(fps) - pivots.far_table(near)) <= 2).all()
+    # Some choice of groups puts both in one bucket, at every depth.
+    for free in ((1 << 64) - 1, sum(1 << x for x in range(3, 40)), 0b1011010):
+        inside = [(a, b) for a, b in zip(fps.tolist(), near.tolist(), strict=True) if not (a ^ b) & ~free]
+        for a, b in inside:
+            one, two = (dict((bits, int(k[0])) for bits, k in pivots.keys(np.array([x], np.uint64), free)) for x in (a, b))
+            assert any(one[bits] == two[bits] for bits in one)
+    # A group table holds as much as the bits do.
+    bits = sum(1 << x for x in range(5, 18))
+    tables, values = pivots.group_table(fps, bits), fps & np.uint64(bits)
+    assert len({t.tobytes() for t in tables}) == len(set(values.tolist())) == len({(t.tobytes(), v) for t, v in zip(tables, values.tolist(), strict=True)})
+
+
+def test_far_table_discards_most_pairs(spark):
+    """Fingerprints that share 40 bits fall into common buckets; the far table keeps few of their pairs from verification."""
+    draw = np.random.default_rng(7)
+    base = int(draw.integers(0, 1 << 62))
+    prints = {base ^ int(x) for x in draw.integers(0, 1 << 24, 600)}
+    rows = spark.createDataFrame([(x - (1 << 64) if x >> 63 else x,) for x in prints], "fp long")
+    counts = simhash.pivot_counts(rows, max_paired=1000).first()
+    assert counts["pairs"] == counts["discarded"] + counts["survivors"] and counts["discarded"] > 0.95 * counts["pairs"] > 1000
+
+
 def test_simhash_odd_cases(odd, empty):
     rows = [tuple(r) for r in simhash.near_duplicates(odd).collect()]
     assert len(rows) == len(ODD)
@@ -434,8 +462,10 @@ def test_mix_targets_and_limits(spark, odd, empty):
     assert sum(x[0]["target"] for x in by.values()) == pytest.approx(total)
     for own in by.values():
         assert own[0]["target"] <= 3 * own[0]["source_size"] and abs(sum(r["taken"] for r in own) - own[0]["target"]) <= 1
-    copies = mixing.take_copies(mixing.plan_mix(spark.createDataFrame(rows, SCHEMA))).collect()
+    copies = mixing.take_copies(spark.createDataFrame(rows, SCHEMA)).collect()
     assert sum(len(r["text"].split()) for r in copies) == sum(r["taken"] for r in planned)
+    times = [r["virtual_finish"] for r in copies]
+    assert times == sorted(times) and all(r["virtual_finish"] <= 1 + 1e-9 or r["words"] < r["size"] or r["virtual_finish"] - 1 <= 0.5 / r["target"] for r in copies)
     assert mixing.plan_mix(odd).count() == len(ODD) and mixing.plan_mix(empty).count() == 0
 
 
@@ -503,6 +533,19 @@ def test_warc_round_trip(spark, tmp_path):
 # ---- 10 ------------------------------------------------------------------------------------------
 
 
+def test_names_of_results_and_helpers_do_not_clash(spark):
+    """Columns named as operators name theirs, now or once, come back untouched."""
+    names = ["first", "second", "tie", "bucket", "rank", "part", "place", "ends", "begin", "n", "digest", "inside", "offset", "key", "whole", "words", "gone", "cut_doc", "left_over", "c0", "c1", "__first", "__part", "__digest", "__key", "__text"]
+    rows = spark.createDataFrame([(i, f"some words of text {i % 3}", "en", "ab"[i % 2], 5) for i in range(20)], SCHEMA)
+    clashing = rows.select("*", *[F.concat(F.lit(n), F.col("doc_id").cast("string")).alias(n) for n in names])
+    want = {r["doc_id"]: tuple(r[n] for n in names) for r in clashing.collect()}
+    for result in (sharding.shuffle_into_shards(clashing), substring.remove_repeats(clashing), substring.cut_repeats(clashing), substring.repeat_digests(clashing)):
+        assert {r["doc_id"]: tuple(r[n] for n in names) for r in result.collect()} == want
+    taken = mixing.take_copies(clashing).collect()
+    assert taken and all(r["__digest"] == f"__digest{r['doc_id']}" and r["c1"] == f"c1{r['doc_id']}" and r["bucket"] == f"bucket{r['doc_id']}" for r in taken)
+    assert mixing.plan_mix(clashing).count() == 20
+
+
 def test_matrix_sums_and_law():
     m = sharding.communication_matrix([5, 0, 7, 30], 4, 1)
     assert m.sum(1).tolist() == [5, 0, 7, 30] and sorted(m.sum(0).tolist()) == [10, 10, 11, 11]
