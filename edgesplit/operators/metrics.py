@@ -36,6 +36,12 @@ def imbalance(assignment: DataFrame, k: int) -> DataFrame:
     return loads(assignment).agg(F.sum("n").alias("edges"), F.max("n").alias("max_load")).withColumn("alpha", F.col("max_load") * k / F.col("edges"))
 
 
+def load_statistics(assignment: DataFrame) -> DataFrame:
+    """``mean, sd, median, p90, slope`` of the partitions' loads (slope: against the partition's number): one row."""
+    facts = {"mean": F.avg("n"), "sd": F.stddev_samp("n"), "median": F.percentile("n", 0.5), "p90": F.percentile("n", 0.9), "slope": F.regr_slope("n", "p")}
+    return loads(assignment).agg(*[F.round(x, 6).alias(name) for name, x in facts.items()])
+
+
 def check_balance(assignment: DataFrame, cap: int) -> DataFrame:
     return loads(assignment).agg((F.coalesce(F.max("n"), F.lit(0)) <= cap).alias("balanced"))
 

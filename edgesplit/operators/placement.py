@@ -135,42 +135,87 @@ def choose_of_two(rows: DataFrame, terms: tuple[str, ...] = ("replica", "cluster
     return rows.withColumns({"score_u": scores[0], "score_v": scores[1], "p": F.when(first, F.col("p_u")).otherwise(F.col("p_v"))})
 
 
-def choose_of_all(rows: DataFrame, k: int, loads: Loads, lam: float, eps: float) -> DataFrame:
-    """Edges with ``p`` of the best HDRF score over all partitions with room; scores compare after rounding, ties to the smaller."""
-    least, most = min(loads.n), max(loads.n)
+def choose_of_all(rows: DataFrame, k: int, loads: Loads, lam: float, eps: float, batch: int = 0) -> DataFrame:
+    """Edges with ``p`` of the best HDRF score over all partitions with room; scores compare after rounding, ties to the smaller.
+
+    All edges of a batch see the loads at its start.  While a batch of ``batch`` edges (0: one batch alone) goes
+    in, the least loaded partition changes with nearly every edge; each edge therefore sees every load raised by a
+    hashed part of what the batch may add to it.
+    """
     total = F.col("d_u") + F.col("d_v")
+    step = batch / k
+    seen = [F.lit(float(n)) + F.pmod(F.xxhash64("src", "dst", F.lit(p)), F.lit(4096)) * F.lit(step / 4096) if batch else F.lit(n) for p, n in enumerate(loads.n)]
+    rows = rows.withColumn("seen", F.array(*seen))
+    rows = rows.withColumns({"least": F.array_min("seen"), "most": F.array_max("seen")})
     options = []
     for p in range(k):
         if loads.n[p] >= loads.cap:
             continue
         part = F.when(F.array_contains("ps_u", p), F.lit(2.0) - F.col("d_u") / total).otherwise(F.lit(0.0)) + F.when(F.array_contains("ps_v", p), F.lit(2.0) - F.col("d_v") / total).otherwise(F.lit(0.0))
-        score = part + balance_term(F.lit(loads.n[p]), F.lit(least), F.lit(most), lam, eps)
+        score = part + balance_term(F.col("seen")[p], F.col("least"), F.col("most"), lam, eps)
         options.append(F.struct(F.round(score, 9).alias("s"), F.lit(-p).alias("q")))
     best = F.array_max(F.array(*options))
-    return rows.withColumn("p", (-best["q"]).cast("int"))
+    return rows.withColumn("p", (-best["q"]).cast("int")).drop("seen", "least", "most")
+
+
+def even_batches(total: int, batches: int) -> list[tuple[int, int]]:
+    """Position ranges of so many batches."""
+    return [(b * total // batches, (b + 1) * total // batches) for b in range(batches)]
 
 
-def place_stream(rows: DataFrame, sets: DataFrame | None, loads: Loads, total: int, batches: int, choose, seed: int = 0, try_second: bool = False, stage: str = "scored") -> list[DataFrame]:
-    """Edges in batches of positions; each batch sees the replicas of those before it."""
+def growing_batches(total: int, first: int = 256, growth: float = 0.5) -> list[tuple[int, int]]:
+    """Position ranges that begin small: each holds at most ``growth`` times what came before it.
+
+    All edges of a batch see one state, so a batch may not be large beside the state that guides it.
+    """
+    cuts = [0]
+    while cuts[-1] < total:
+        cuts.append(min(total, cuts[-1] + max(first, int(growth * cuts[-1]))))
+    return list(zip(cuts, cuts[1:], strict=False))
+
+
+def place_stream(rows: DataFrame, sets: DataFrame | None, loads: Loads, rounds: list[tuple[int, int]], choose, seed: int = 0, try_second: bool = False, stage: str = "scored", spread: bool = False) -> list[DataFrame]:
+    """Edges in batches of positions; each batch sees the replicas of those before it.
+
+    With ``spread`` a partition takes at most an even share of the batch above the least loaded one, and
+    what it refuses chooses again among the others, against the loads and replicas as they are by then.
+    """
     spark = rows.sparkSession
     sets = sets if sets is not None else spark.createDataFrame([], "v long, ps array<int>")
     out: list[DataFrame] = []
     kept = [c for c in rows.columns]
-    for b in range(batches):
-        low, high = b * total // batches, (b + 1) * total // batches
+    for b, (low, high) in enumerate(rounds):
         if low == high:
             continue
         batch = rows.where((F.col("pos") >= low) & (F.col("pos") < high))
-        chosen = materialise(choose(with_sets(batch, sets), loads).select(*kept, "p"), "chosen")
-        good, refused = admit(chosen, loads)
-        good = good.withColumn("stage", F.lit(stage))
-        loads.add(good)
-        new = [good, *(overflow(refused, loads, seed, try_second=try_second) if refused is not None else [])]
+        new: list[DataFrame] = []
+        for turn in range(2 if spread else 1):
+            now = Loads(len(loads.n), loads.cap)
+            now.n = list(loads.n)
+            if spread and turn == 0:
+                level = (sum(loads.n) + high - low) / len(loads.n)
+                now.cap = min(loads.cap, max(int(1.1 * level) + 1, min(loads.n) + 1))
+            chosen = materialise(choose(with_sets(batch, sets), now, high - low).select(*kept, "p"), "chosen")
+            good, refused = admit(chosen, now)
+            good = good.withColumn("stage", F.lit(stage))
+            loads.add(good)
+            new.append(good)
+            last = turn == (1 if spread else 0)
+            if last and refused is not None:
+                new += overflow(refused, loads, seed, try_second=try_second)
+            if last or refused is None:
+                break
+            sets = _with_new(sets, [good])
+            batch = refused.drop("p")
         out += [x.select(*kept, "p", "stage") for x in new]
-        if b + 1 < batches:
-            fresh = out[-len(new)]
-            for x in out[len(out) - len(new) + 1 :]:
-                fresh = fresh.unionByName(x)
-            merged = sets.unionByName(replica_sets(fresh)).groupBy("v").agg(F.array_distinct(F.flatten(F.collect_list("ps"))).alias("ps"))
-            sets = materialise(merged, "replicas")
+        if b + 1 < len(rounds):
+            sets = _with_new(sets, new)
     return out
+
+
+def _with_new(sets: DataFrame, placed: list[DataFrame]) -> DataFrame:
+    """Replica sets after more edges were placed."""
+    fresh = placed[0].select("src", "dst", "p")
+    for x in placed[1:]:
+        fresh = fresh.unionByName(x.select("src", "dst", "p"))
+    return materialise(sets.unionByName(replica_sets(fresh)).groupBy("v").agg(F.array_distinct(F.flatten(F.collect_list("ps"))).alias("ps")), "replicas")

@@ -133,28 +133,30 @@ def guided(stream: Stream, parts: Partitions, names: np.ndarray, volumes: np.nda
     if full_scan is not None:
         hdrf(stream, parts, *full_scan, only=rest)
         return
-    replica, own = "replica" in terms, "cluster" in terms
     for e in rest:
         u, v = us[e], vs[e]
         p, q = homes[u], homes[v]
-        mu, mv, du, dv, a, b = parts.mask[u], parts.mask[v], d[u], d[v], vol[u], vol[v]
         parts.scored += 2
-        if replica and own:
-            on_p, on_q = (mu >> p & 1) + (mv >> p & 1), (mu >> q & 1) + (mv >> q & 1)
-            if on_p != on_q:
-                first = on_p > on_q
-            elif on_p == 1 and mu >> p & 1 and mv >> q & 1:
-                first = a * dv >= b * du
-            elif on_p == 1 and mv >> p & 1 and mu >> q & 1:
-                first = du * a >= dv * b
-            else:
-                first = a >= b
-        else:
-            score = lambda x: ((2 - du / (du + dv)) * (mu >> x & 1) + (2 - dv / (du + dv)) * (mv >> x & 1)) * replica + own * ((a if x == p else b) / (a + b))  # noqa: E731, B023
-            first = score(p) >= score(q)
+        first = first_of_two(parts.mask[u], parts.mask[v], d[u], d[v], vol[u], vol[v], p, q, terms)
         parts.settle(e, u, v, p if first else q, 1, q if first else p)
 
 
+def first_of_two(mu: int, mv: int, du: int, dv: int, a: int, b: int, p: int, q: int, terms: tuple[str, ...] = ("replica", "cluster")) -> bool:
+    """Whether the first end's home p beats the second's q: replica masks, degrees and cluster volumes of both ends; ties go to p."""
+    replica, own = "replica" in terms, "cluster" in terms
+    if not (replica and own):
+        score = lambda x: ((2 - du / (du + dv)) * (mu >> x & 1) + (2 - dv / (du + dv)) * (mv >> x & 1)) * replica + own * ((a if x == p else b) / (a + b))
+        return score(p) >= score(q)
+    on_p, on_q = (mu >> p & 1) + (mv >> p & 1), (mu >> q & 1) + (mv >> q & 1)
+    if on_p != on_q:
+        return on_p > on_q
+    if on_p == 1 and mu >> p & 1 and mv >> q & 1:
+        return a * dv >= b * du
+    if on_p == 1 and mv >> p & 1 and mu >> q & 1:
+        return du * a >= dv * b
+    return a >= b
+
+
 # ---- stateful baselines --------------------------------------------------------------------------
 
 
@@ -199,8 +201,11 @@ def greedy(stream: Stream, parts: Partitions) -> None:
         left[v] -= 1
 
 
-def adwise(stream: Stream, parts: Partitions, lam: float = 1.1, min_buffer: int = 10, latency_factor: float = 40.0, max_buffer: int = 256) -> None:
-    """A buffer of edges; the best (edge, partition) in it goes first; the buffer adapts to a budget of score evaluations."""
+def adwise(stream: Stream, parts: Partitions, lam: float = 1.1, min_buffer: int = 10, latency_factor: float = 40.0) -> None:
+    """A buffer of edges; the best (edge, partition) in it goes first; the buffer adapts to a budget of score evaluations.
+
+    It doubles while gains do not fall and the budget would bear twice its size to the end.
+    """
     k, m = parts.k, stream.m
     table, load = np.zeros((stream.n, k), bool), np.zeros(k)
     budget, window, at, last_gain = latency_factor * k * m, min_buffer, 0, 0.0
@@ -227,7 +232,7 @@ def adwise(stream: Stream, parts: Partitions, lam: float = 1.1, min_buffer: int
         table[u[i], p] = table[v[i], p] = True
         held.pop(i)
         rate = budget - parts.scored - k * window * (m - done - 1)
-        if gain >= last_gain and rate > 0 and 2 * window <= max_buffer:
+        if gain >= last_gain and rate > k * window * (m - done - 1):
             window *= 2
         elif gain < last_gain or rate <= 0:
             window = max(min_buffer, window // 2)

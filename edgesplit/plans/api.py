@@ -68,12 +68,15 @@ def partition(
     edges: DataFrame, k: int, alpha: float = 1.05, method: str = "cluster_guided", engine: str = "bulk", passes: int = 1, batches: int = 4, volume_cap: int | None = None, cap_factor: float = 0.25,
     bounded: bool = True, migration: str = "residual", degree_mode: str = "exact", schedule: str = "lpt", terms: tuple[str, ...] = ("replica", "cluster"), warm_start: bool = True, try_second: bool = False,
     degrees_table: DataFrame | None = None, clusters: DataFrame | None = None, seed: int = 0, lam: float = 1.1, eps: float = 1.0, tau: float = 10.0, cache: int = 2, expansion: float = 0.1,
-    min_buffer: int = 10, latency_factor: float = 40.0, order_by: tuple[str, ...] | None = None,
+    min_buffer: int = 10, latency_factor: float = 40.0, order_by: tuple[str, ...] | None = None, subrounds: int = 1, min_moved: float = 0.0, first_batch: int = 256, growth: float = 0.5,
 ) -> PartitionResult:
     """Split distinct edges ``src, dst`` into k partitions.
 
     Stateless methods are expressions and ignore ``engine``.  In-memory and buffered baselines know
-    the sequential engine only: one task holds the graph, as their own systems do.
+    the sequential engine only, where one task holds the graph, as their own systems do; it has to be
+    asked for.  An option that the engine does not know raises.  ``first_batch`` is the number of edges
+    in the bulk engine's first batch, ``growth`` how much each next one may be larger than all before it
+    (only where a method scores all partitions; others take ``batches`` even ones).
     """
     prepare(edges.sparkSession)
     if method not in METHODS:
@@ -82,6 +85,7 @@ def partition(
         raise ValueError(f"unknown engine {engine!r}; one of {ENGINES}")
     if not set(terms) <= {"replica", "cluster"} or not terms:
         raise ValueError("terms are replica, cluster or both")
+    _check_options(method, engine, degree_mode, clusters is not None, degrees_table is not None)
     degrees.hard_cap(1, k, alpha)
     timer = metrics.Timer()
     with timer.phase("load"):
@@ -89,7 +93,7 @@ def partition(
         stream = materialise(stream, "stream")
         total = stream.count()
     cap = degrees.hard_cap(total, k, alpha)
-    engine = "stateless" if method in STATELESS else "sequential" if (method not in _BULK and engine == "bulk") or (method not in _SHARDS and engine == "shards") else engine
+    engine = "stateless" if method in STATELESS else engine
     out = PartitionResult(stream, k, alpha, method, engine, cap, total, 1, timer.seconds)
     if method in STATELESS:
         with timer.phase("partitioning"):
@@ -98,7 +102,7 @@ def partition(
     limit = (volume_cap or degrees.volume_cap(total, k, alpha, cap_factor)) if bounded else None
     if limit is not None and limit < 1:
         raise ValueError("the volume cap must be at least 1")
-    options = dict(limit=limit, passes=passes, migration=migration, degree_mode=degree_mode, schedule=schedule, terms=terms, warm_start=warm_start, try_second=try_second, seed=seed, lam=lam, eps=eps, tau=tau, cache=cache, expansion=expansion, min_buffer=min_buffer, latency_factor=latency_factor)
+    options = dict(limit=limit, passes=passes, migration=migration, degree_mode=degree_mode, schedule=schedule, terms=terms, warm_start=warm_start, try_second=try_second, seed=seed, lam=lam, eps=eps, tau=tau, cache=cache, expansion=expansion, min_buffer=min_buffer, latency_factor=latency_factor, first_batch=first_batch, growth=growth)
     if engine == "sequential":
         with timer.phase("partitioning"):
             _sequential(out, stream, options)
@@ -107,13 +111,28 @@ def partition(
         known = degrees.check_known(stream, degrees_table) if degrees_table is not None else materialise(degrees.compute(stream), "degrees")
     if method in GUIDED:
         with timer.phase("clustering"):
-            out.clusters = clusters if clusters is not None else clustering.stream_cluster(stream, known, limit, total, passes, batches, migration)
+            out.clusters = clusters if clusters is not None else clustering.stream_cluster(stream, known, limit, total, passes, batches, migration, subrounds, min_moved)
         out.passes = (degrees_table is None) + (passes if clusters is None else 0) + 2
     with timer.phase("partitioning"):
         _bulk(out, stream, known, engine, batches, options)
     return out
 
 
+def _check_options(method: str, engine: str, degree_mode: str, own_clusters: bool, own_degrees: bool) -> None:
+    """Raise where an engine cannot do what it is asked for."""
+    if method in STATELESS:
+        return
+    known = {"bulk": _BULK, "shards": _SHARDS, "sequential": METHODS}[engine]
+    if method not in known:
+        raise ValueError(f"{method} has no {engine} engine; ask for engine='sequential', which holds the graph in one task")
+    if degree_mode not in ("exact", "partial"):
+        raise ValueError("degree_mode is exact or partial")
+    if degree_mode == "partial" and engine != "sequential":
+        raise ValueError("partial degrees are counted edge by edge: engine='sequential' only")
+    if engine == "sequential" and (own_clusters or own_degrees):
+        raise ValueError("the sequential engine counts degrees and clusters itself; given ones need engine='bulk' or 'shards'")
+
+
 def _stateless(out: PartitionResult, stream: DataFrame, k: int, method: str, seed: int, known: DataFrame | None) -> None:
     if method == "dbh":
         known = degrees.check_known(stream, known) if known is not None else degrees.compute(stream)
@@ -148,8 +167,9 @@ def _bulk(out: PartitionResult, stream: DataFrame, known: DataFrame, engine: str
         parts += _shards(out, rest, sets, loads, o)
     else:
         two = out.method == "cluster_guided"
-        choose = (lambda b, _: placement.choose_of_two(b, o["terms"])) if two else (lambda b, now: placement.choose_of_all(b, k, now, o["lam"], o["eps"]))
-        parts += placement.place_stream(rest, sets, loads, out.edges, batches, choose, o["seed"], o["try_second"])
+        choose = (lambda b, _now, _n: placement.choose_of_two(b, o["terms"])) if two else (lambda b, now, n: placement.choose_of_all(b, k, now, o["lam"], o["eps"], n))
+        rounds = placement.even_batches(out.edges, batches) if two else placement.growing_batches(out.edges, o["first_batch"], o["growth"])
+        parts += placement.place_stream(rest, sets, loads, rounds, choose, o["seed"], o["try_second"], spread=not two)
         out.scored = rest.count() * (2 if two else k)
     columns = ["pos", "src", "dst", "p", "stage"]
     done = parts[0].select(columns)
@@ -196,20 +216,13 @@ def _fold_two(stream: sequential.Stream, own: sequential.Partitions, table: pa.T
     out = np.full(stream.m, -1, np.int32)
     p, q, a, b = (table.column(c).to_pylist() for c in ("p_u", "p_v", "vol_u", "vol_v"))
     for e, (u, v) in enumerate(zip(stream.u.tolist(), stream.v.tolist(), strict=True)):
-        mu, mv, x, y = own.mask[u], own.mask[v], p[e], q[e]
-        on_x, on_y = (mu >> x & 1) + (mv >> x & 1), (mu >> y & 1) + (mv >> y & 1)
-        if on_x != on_y:
-            first = on_x > on_y
-        elif on_x == 1 and mu >> x & 1 and mv >> y & 1:
-            first = a[e] * own.degree[v] >= b[e] * own.degree[u]
-        elif on_x == 1 and mv >> x & 1 and mu >> y & 1:
-            first = own.degree[u] * a[e] >= own.degree[v] * b[e]
-        else:
-            first = a[e] >= b[e]
-        best = x if first else y
-        if own.load[best] < own.cap:
-            own.put(e, u, v, best, 1)
-            out[e] = best
+        first = sequential.first_of_two(own.mask[u], own.mask[v], own.degree[u], own.degree[v], a[e], b[e], p[e], q[e], o["terms"])
+        best, second = (p[e], q[e]) if first else (q[e], p[e])
+        for x in (best, second) if o["try_second"] else (best,):
+            if own.load[x] < own.cap:
+                own.put(e, u, v, x, 1)
+                out[e] = x
+                break
     return out
 
 

@@ -47,6 +47,23 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/edgesplit/{name}-{uuid.uuid4().hex}"
 
 
+def _file_system(spark: SparkSession, path: str):
+    """The path's own file system, whatever store it is in, and the path there."""
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return place.getFileSystem(spark._jsc.hadoopConfiguration()), place
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    store, place = _file_system(spark, path)
+    return bool(store.exists(place))
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder that nothing reads any more; a missing one is no error."""
+    store, place = _file_system(spark, path)
+    store.delete(place, True)
+
+
 @contextmanager
 def _shuffle_files_freed(spark: SparkSession) -> Iterator[None]:
     """Let Spark delete a query's shuffle files when the query ends; the session's own choice comes back."""

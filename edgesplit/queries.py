@@ -99,7 +99,18 @@ _add(
     "sync_messages", lambda s, d: metrics.sync_messages(_stateless(s, d, "grid", "cust_part", 12)),
     f"WITH {_assigned_sql('grid', 'cust_part', 12)} SELECT CAST(sum(r - 1) AS BIGINT) AS messages FROM (SELECT v, count(DISTINCT p) AS r FROM (SELECT src AS v, p FROM a UNION ALL SELECT dst, p FROM a) t GROUP BY v) t",
 )
-_add("rf_stateless", lambda s, d: workloads.stateless_rf(_graph(s, d, "cust_part"), ("dbh", "grid", "hash_edge", "hash_src"), (4, 16)))
+_STATELESS_RF = " UNION ALL ".join(
+    f"SELECT '{m}' AS method, {k} AS k, round((SELECT count(*) FROM (SELECT src AS v, p FROM a_{m}_{k} UNION SELECT dst, p FROM a_{m}_{k}) t)::DOUBLE / (SELECT count(*) FROM d), 6) AS rf, "
+    f"round((SELECT max(n) FROM (SELECT count(*) AS n FROM a_{m}_{k} GROUP BY p) t) * {k}.0::DOUBLE / (SELECT count(*) FROM g), 6) AS alpha"
+    for m in ("dbh", "grid", "hash_edge", "hash_src") for k in (4, 16)
+)
+_STATELESS_PARTS = ", ".join(f"a_{m}_{k} AS (" + _assigned_sql(m, "cust_part", k).split(", a AS (", 1)[1] for m in ("dbh", "grid", "hash_edge", "hash_src") for k in (4, 16))
+_add("rf_stateless", lambda s, d: workloads.stateless_rf(_graph(s, d, "cust_part"), ("dbh", "grid", "hash_edge", "hash_src"), (4, 16)), f"WITH {_g('cust_part')}, {_STATELESS_PARTS} {_STATELESS_RF}")
+_add(
+    "load_statistics", lambda s, d: metrics.load_statistics(_stateless(s, d, "hash_src", "cust_part", 8)),
+    f"WITH {_assigned_sql('hash_src', 'cust_part', 8)}, l AS (SELECT p, count(*) AS n FROM a GROUP BY p) SELECT round(avg(n), 6) AS mean, round(stddev_samp(n), 6) AS sd, round(quantile_cont(n, 0.5), 6) AS median, "
+    "round(quantile_cont(n, 0.9), 6) AS p90, round(regr_slope(n, p), 6) AS slope FROM l",
+)
 _add("rf_sketch", lambda s, d: metrics.replication_factor_estimate(_stateless(s, d, "dbh", "cust_part", 32), 32))
 _add(
     "partition_profile", lambda s, d: jobs.partition_profile(_stateless(s, d, "hash_edge", "cust_part", 8)),
@@ -218,6 +229,27 @@ def _round_sql(graph: str, cap: int = 200) -> str:
 for _name in ("cust_order", _NATION):
     _add(f"cluster_round_{_name}", partial(_round, graph=_name), _round_sql(_name))
 
+
+
+def _second_round(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One round from clusters by nation, whose residual volumes differ, so that the rule of the smaller residual decides."""
+    edges, clusters = _nation_clusters(spark, sf_dir)
+    edges = materialise(degrees.with_position(edges, ("src", "dst")), "edges")
+    # Each nation's customers and parts apart: 50 clusters that still have to meet.
+    clusters = materialise(clusters.select("v", (F.col("c") * 2 + F.col("v") % 8 % 2 + F.lit(1000)).alias("c"), "d"), "clusters")
+    moves = clustering.propose(edges, clusters, None)
+    return moves.select("v", "source", "target", "pos")
+
+
+_add(
+    "cluster_proposals_residual", _second_round,
+    f"WITH {_CL}, c2 AS (SELECT v, c * 2 + v % 8 % 2 + 1000 AS c, d FROM cl), w AS (SELECT c, CAST(sum(d) AS BIGINT) AS vol FROM c2 GROUP BY c), "
+    "s AS (SELECT row_number() OVER (ORDER BY src, dst) - 1 AS pos, src, dst, a.d AS du, b.d AS dv, a.c AS cu, b.c AS cv, x.vol AS vu, y.vol AS vv FROM g JOIN c2 a ON a.v = src JOIN c2 b ON b.v = dst JOIN w x ON x.c = a.c JOIN w y ON y.c = b.c), "
+    "mv AS (SELECT pos, CASE WHEN vu - du <= vv - dv THEN src ELSE dst END AS v, CASE WHEN vu - du <= vv - dv THEN cu ELSE cv END AS source, CASE WHEN vu - du <= vv - dv THEN cv ELSE cu END AS target, "
+    "CASE WHEN vu - du <= vv - dv THEN vv ELSE vu END AS room FROM s WHERE cu <> cv) "
+    "SELECT v, source, target, pos FROM (SELECT *, row_number() OVER (PARTITION BY v ORDER BY room DESC, pos) AS r FROM mv) t WHERE r = 1",
+)
+
 # ---- certificates: every method covers every edge once and keeps the cap -------------------------
 
 _CERTIFIED = [m for m in METHODS if m not in ("dbh", "grid", "pds", "hash_edge", "hash_src")]
@@ -242,7 +274,7 @@ def _certificate(spark: SparkSession, sf_dir: str, method: str, engine: str, gra
     return metrics.imbalance(done.assignment, k).crossJoin(cover).select("edges", (F.col("max_load") <= done.cap).alias("balanced"), ((F.col("missing") == 0) & (F.col("extra") == 0)).alias("covered"))
 
 
-for _method, _engine in (("cluster_guided", "bulk"), ("cluster_guided", "shards"), ("cluster_guided_full", "bulk"), ("hdrf", "shards"), ("greedy", "shards")):
+for _method, _engine in (("cluster_guided", "bulk"), ("cluster_guided", "shards"), ("cluster_guided_full", "bulk"), ("cluster_guided_full", "shards"), ("hdrf", "bulk"), ("hdrf", "shards"), ("greedy", "shards")):
     _add(f"certificate_{_method}_{_engine}", partial(_certificate, method=_method, engine=_engine), f"WITH {_g(_NATION)} SELECT count(*) AS edges, true AS balanced, true AS covered FROM g")
 
 
@@ -343,17 +375,26 @@ _add(
 
 
 def _as_of(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """For each event the last snapshot (every 97th event of its user's type) at or before it."""
-    events = table(spark, sf_dir, "events").select("event_id", "ts", "event_type")
-    snaps = events.where("event_id % 97 = 0").select(F.col("event_type").alias("t"), F.col("ts").alias("at"), F.col("event_id").alias("snap"))
-    both = events.select("event_id", "ts", "event_type", F.lit(None).cast("long").alias("snap"), F.lit(1).alias("late")).union(snaps.select(F.lit(None).cast("long"), "at", "t", "snap", F.lit(0)))
-    w = Window.partitionBy("event_type", F.window("ts", "1 day")["start"]).orderBy("ts", "late", "snap").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn("seen", F.last("snap", ignorenulls=True).over(w)).where("event_id is not null").select("event_id", "seen")
+    """For each event the last snapshot of its type (the first event of each hour) at or before it.
+
+    Two levels: the last snapshot of each day is carried over the days, then snapshots are followed inside a day.
+    """
+    events = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), F.col("event_type").alias("t"))
+    hours = events.groupBy("t", F.date_trunc("hour", "ts").alias("h")).agg(F.min(F.struct("ts", "event_id")).alias("s"))
+    snaps = materialise(hours.select("t", F.col("s.ts").alias("ts"), F.col("s.event_id").alias("snap"), F.to_date("s.ts").alias("day")), "snapshots")
+    days = events.select("t", F.to_date("ts").alias("day")).distinct().join(snaps.groupBy("t", "day").agg(F.max_by("snap", "ts").alias("last")), ["t", "day"], "left")
+    carried = days.withColumn("before", F.last("last", ignorenulls=True).over(Window.partitionBy("t").orderBy("day").rowsBetween(Window.unboundedPreceding, -1)))
+    both = events.select("event_id", "ts", "t", F.to_date("ts").alias("day"), F.lit(None).cast("long").alias("snap"), F.lit(1).alias("late"))
+    both = both.union(snaps.select(F.lit(None).cast("long"), "ts", "t", "day", "snap", F.lit(0)))
+    inside = F.last("snap", ignorenulls=True).over(Window.partitionBy("t", "day").orderBy("ts", "late").rowsBetween(Window.unboundedPreceding, 0))
+    seen = both.withColumn("inside", inside).where("event_id is not null").join(carried.select("t", "day", "before"), ["t", "day"], "left")
+    return seen.select("event_id", F.coalesce("inside", "before").alias("seen"))
 
 
 _add(
     "asof_cluster_snapshot", _as_of,
-    "WITH s AS (SELECT event_type AS t, ts AS taken, event_id AS snap FROM events WHERE event_id % 97 = 0) SELECT event_id, (SELECT arg_max(snap, row(taken, snap)) FROM s WHERE t = event_type AND taken <= ts AND taken::DATE = ts::DATE) AS seen FROM events",
+    "WITH s AS (SELECT event_type AS t, min(ts) AS taken, arg_min(event_id, row(ts, event_id)) AS snap FROM events GROUP BY event_type, date_trunc('hour', ts)) "
+    "SELECT event_id, snap AS seen FROM events ASOF LEFT JOIN s ON t = event_type AND taken <= ts",
 )
 _add(
     "interval_edges",
@@ -440,7 +481,7 @@ def _stream_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = fresh_path(spark, "edges")
     kinds = F.pmod(F.xxhash64("event_type"), F.lit(1000)) * 8 + 7
     table(spark, sf_dir, "events").select((F.col("user_id") * 8 + 4).alias("src"), kinds.alias("dst")).distinct().coalesce(1).write.parquet(folder)
-    state = live.LiveClusters(spark, None)
+    state = live.LiveClusters(spark, None, fresh_path(spark, "live"))
     query = live.run(spark.readStream.schema("src long, dst long").parquet(folder), state)
     query.awaitTermination()
     return state.clusters
@@ -461,6 +502,23 @@ _add("w_pagerank", workloads.pagerank_totals)
 _add("w_storage", workloads.storage_levels)
 _add("w_hep_tau", workloads.hep_tau)
 _add("w_ablation", workloads.ablation)
+_add("w_evaluations", workloads.evaluations)
 _add(
-    "w_evaluations", lambda s, d: workloads.evaluations(s, d).where("method = 'hdrf'"), "SELECT 'hdrf' AS method, k, CAST(k AS DOUBLE) AS per_edge FROM (SELECT unnest([4, 32, 256]) AS k) t"
-)
+    "evaluations_bound", lambda s, d: workloads.evaluations(s, d).select("method", "k", F.when(F.col("method") == "hdrf", F.col("per_edge") == F.col("k")).otherwise(F.col("per_edge") <= 2).alias("as_claimed")),
+    "SELECT method, k, true AS as_claimed FROM (SELECT unnest(['cluster_guided', 'hdrf']) AS method) m CROSS JOIN (SELECT unnest([4, 32, 256]) AS k) t",
+)
+
+
+def _quality_engines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distributed engines against the exact stream and against DBH: replication factors within a twentieth, and below."""
+    rows = workloads.engine_quality(spark, sf_dir, _NATION, 8, ("hdrf", "cluster_guided", "cluster_guided_full"), ("bulk",))
+    return rows.select("method", "engine", (F.col("rf") <= 1.05 * F.col("rf_sequential")).alias("near_sequential"), (F.col("rf") < F.col("rf_dbh")).alias("below_dbh"))
+
+
+_add("w_engine_quality", lambda s, d: workloads.engine_quality(s, d))
+_add(
+    "quality_engines", _quality_engines,
+    "SELECT method, 'bulk' AS engine, true AS near_sequential, true AS below_dbh FROM (SELECT unnest(['hdrf', 'cluster_guided', 'cluster_guided_full']) AS method) t",
+)
+_add("w_linearity", workloads.linearity)
+_add("w_memory", workloads.memory)

@@ -12,7 +12,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.hashing import partition_of
 from ..operators import clustering
-from ..plans.storage import materialise, prepare, shared_dir
+from ..plans.storage import exists, materialise, prepare, remove
 
 
 def event_stream(spark: SparkSession, folder: str, watermark: str = "1 hour") -> DataFrame:
@@ -56,11 +56,24 @@ def replica_counts(assigned: DataFrame, k: int) -> DataFrame:
 
 
 class LiveClusters:
-    """Clusters kept up to date by micro-batches; each batch writes a new version, a replayed batch is skipped."""
+    """Clusters kept up to date by micro-batches, in a folder of their own.
 
-    def __init__(self, spark: SparkSession, cap: int | None, batches: int = 1) -> None:
-        self.spark, self.cap, self.batches = prepare(spark), cap, batches
-        self.version, self.clusters = -1, spark.createDataFrame([], "v long, c long, d long")
+    Each batch writes a new version there, then notes it; a batch that comes again is skipped.  An object
+    on the same folder goes on from the last version noted, so a restarted stream, whose offsets lie there
+    too, finds the clusters that belong to them.  Of older versions the last one is kept.
+    """
+
+    _SCHEMA = "v long, c long, d long"
+
+    def __init__(self, spark: SparkSession, cap: int | None, state_dir: str) -> None:
+        self.spark, self.cap, self.state_dir = prepare(spark), cap, state_dir.rstrip("/")
+        self.version, self.clusters = -1, spark.createDataFrame([], self._SCHEMA)
+        if exists(spark, f"{self.state_dir}/noted"):
+            self.version = spark.read.schema("version long").parquet(f"{self.state_dir}/noted").agg(F.max("version")).first()[0]
+            self.clusters = self._read(self.version)
+
+    def _read(self, version: int) -> DataFrame:
+        return self.spark.read.schema(self._SCHEMA).parquet(f"{self.state_dir}/version-{version}")
 
     def update(self, batch: DataFrame, version: int) -> None:
         """Degrees grow by the batch's edges, unseen vertices open clusters, then one bulk round runs."""
@@ -70,11 +83,20 @@ class LiveClusters:
         seen = edges.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").agg(F.count("*").alias("n"))
         grown = self.clusters.join(seen, "v", "full_outer").select("v", F.coalesce("c", "v").alias("c"), (F.coalesce("d", F.lit(0)) + F.coalesce("n", F.lit(0))).cast("long").alias("d"))
         grown = materialise(grown, "live-clusters")
-        self.clusters = materialise(clustering.one_round(edges, grown, self.cap), "live-clusters")
-        self.version = version
+        clustering.one_round(edges, grown, self.cap).write.mode("overwrite").parquet(f"{self.state_dir}/version-{version}")
+        self.spark.createDataFrame([(version,)], "version long").write.mode("append").parquet(f"{self.state_dir}/noted")
+        before, self.version, self.clusters = self.version, version, self._read(version)
+        if before > 0:
+            remove(self.spark, f"{self.state_dir}/version-{before - 1}")
 
 
 def run(edges: DataFrame, state: LiveClusters, trigger: dict | None = None) -> StreamingQuery:
     """Feed a stream of ``src, dst`` to the clusters."""
-    writer = edges.writeStream.foreachBatch(state.update).option("checkpointLocation", f"{shared_dir(state.spark)}/edgesplit/live-{id(state)}")
+    writer = edges.writeStream.foreachBatch(state.update).option("checkpointLocation", f"{state.state_dir}/log")
     return writer.trigger(**(trigger or {"availableNow": True})).start()
+
+
+def session_counts(events: DataFrame, gap: str = "6 hours") -> DataFrame:
+    """Events of each user's session, on a stream or a table: a session ends when nothing follows within the gap."""
+    counts = events.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n"))
+    return counts.select("user_id", F.col("w.start").alias("start"), "n")

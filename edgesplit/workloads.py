@@ -7,6 +7,8 @@ definition, so a setting is one task and all settings run side by side; time exp
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -23,7 +25,7 @@ _DEFAULTS = dict(
     passes=1, migration="residual", degree_mode="exact", schedule="lpt", terms="replica,cluster", warm_start=True, bounded=True, factor=0.25, try_second=False, seed=0, lam=1.1, eps=1.0, tau=10.0, cache=2, expansion=0.1,
     min_buffer=10, latency_factor=40.0, alpha=1.05,
 )
-_RESULT = "setting int, method string, variant string, k int, edges long, vertices long, rf double, max_load long, cap long, covered boolean, scored long, prepartitioned long, clusters long"
+_RESULT = "setting int, method string, variant string, k int, edges long, vertices long, rf double, max_load long, cap long, covered boolean, scored long, prepartitioned long, clusters long, seconds double"
 
 
 def setting(method: str, k: int, variant: str = "", **changes) -> dict:
@@ -47,14 +49,16 @@ def sweep(edges: DataFrame, settings: list[dict]) -> DataFrame:
         m, k = len(src), s["k"]
         cap = degrees.hard_cap(m, k, s["alpha"])
         options = s | {"limit": degrees.volume_cap(m, k, s["alpha"], s["factor"]) if s["bounded"] else None, "terms": tuple(s["terms"].split(","))}
+        begin = time.perf_counter()
         stream, parts, names = run_sequential(src, dst, k, cap, s["method"], options)
+        seconds = time.perf_counter() - begin
         replicas = sum(x.bit_count() for x in _masks(stream, parts))
         load = np.bincount(parts.p, minlength=k)
         values = [
             i, s["method"], s["variant"], k, m, stream.n, replicas / stream.n, int(load.max()), cap, bool((parts.p >= 0).all()), parts.scored, int((parts.stage == 0).sum()) if s["method"] in GUIDED else 0,
-            len(np.unique(names)) if names is not None else 0,
+            len(np.unique(names)) if names is not None else 0, seconds,
         ]
-        kinds = (pa.int32(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64())
+        kinds = (pa.int32(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64())
         return pa.Table.from_arrays([pa.array([v], t) for v, t in zip(values, kinds, strict=True)], names=[x.split()[0] for x in _RESULT.split(", ")])
 
     every = stream.select("pos", "src", "dst").join(F.broadcast(table))
@@ -92,13 +96,13 @@ def k_sweep(spark: SparkSession, sf_dir: str, graph: str = "cust_part", ks: tupl
 MAIN_METHODS = ("cluster_guided", "hdrf", "adwise", "sne", "ne", "dne", "multilevel", "hep")
 
 
-def main_grid(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("cust_part", "order_supp", "nation_planted", "doc_line"), ks: tuple[int, ...] = (4, 32), methods: tuple[str, ...] = MAIN_METHODS) -> DataFrame:
+def main_grid(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("cust_part", "order_supp", "nation_planted", "doc_line"), ks: tuple[int, ...] = (4, 32, 128, 256), methods: tuple[str, ...] = MAIN_METHODS) -> DataFrame:
     """Graphs x methods x k."""
     out = None
     for name in graphs:
         edges = materialise(builders.graph(spark, sf_dir, name), "graph")
-        rows = sweep(edges, [setting(m, k) for m in methods for k in ks]).select("method", "k", F.round("rf", 6).alias("rf"), F.round(F.col("max_load") * F.col("k") / F.col("edges"), 6).alias("alpha"))
-        rows = rows.union(stateless_rf(edges, ("dbh",), ks)).select(F.lit(name).alias("graph"), "*")
+        rows = sweep(edges, [setting(m, k) for m in methods for k in ks]).select("method", "k", F.round("rf", 6).alias("rf"), F.round(F.col("max_load") * F.col("k") / F.col("edges"), 6).alias("alpha"), "seconds")
+        rows = rows.unionByName(stateless_rf(edges, ("dbh",), ks), allowMissingColumns=True).select(F.lit(name).alias("graph"), "*")
         out = rows if out is None else out.union(rows)
     return out
 
@@ -127,7 +131,7 @@ def restream(spark: SparkSession, sf_dir: str, graph: str = "cust_part", k: int
     return rows.select(F.col("variant").cast("int").alias("passes"), F.round("rf", 6).alias("rf"), F.round(F.col("rf") / base, 6).alias("ratio"))
 
 
-def restream_time(spark: SparkSession, sf_dir: str, graph: str = "cust_part", k: int = 32, passes: tuple[int, ...] = (1, 8)) -> DataFrame:
+def restream_time(spark: SparkSession, sf_dir: str, graph: str = "cust_part", k: int = 32, passes: tuple[int, ...] = (1, 2, 4, 8)) -> DataFrame:
     """Seconds by clustering passes."""
     edges = materialise(builders.graph(spark, sf_dir, graph), "graph")
     rows = []
@@ -137,30 +141,34 @@ def restream_time(spark: SparkSession, sf_dir: str, graph: str = "cust_part", k:
     return spark.createDataFrame([(r, s, s / rows[0][1]) for r, s in rows], "passes int, seconds double, ratio double")
 
 
-def full_scan(spark: SparkSession, sf_dir: str, graph: str = "cust_part", ks: tuple[int, ...] = (4, 32, 128, 256)) -> DataFrame:
-    """Full-scan variant over the two-candidate method: quality and score evaluations."""
-    rows = sweep(builders.graph(spark, sf_dir, graph), [setting(m, k) for m in GUIDED for k in ks])
+def full_scan(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("cust_part", "order_part", "order_supp", "doc_line"), ks: tuple[int, ...] = (4, 32, 128, 256)) -> DataFrame:
+    """Full-scan variant over the two-candidate method: quality, score evaluations and a setting's own seconds."""
+    rows = None
+    for name in graphs:
+        own = sweep(builders.graph(spark, sf_dir, name), [setting(m, k) for m in GUIDED for k in ks]).withColumn("graph", F.lit(name))
+        rows = own if rows is None else rows.union(own)
     pick = lambda m, c: F.max(F.when(F.col("method") == m, F.col(c)))
-    wide = rows.groupBy("k").agg(*[pick(m, c).alias(f"{c}_{n}") for m, n in zip(GUIDED, ("two", "all"), strict=True) for c in ("rf", "scored")])
-    return wide.select("k", F.round("rf_two", 6).alias("rf_two"), F.round("rf_all", 6).alias("rf_all"), F.round(F.col("rf_all") / F.col("rf_two"), 6).alias("rf_ratio"), "scored_two", "scored_all")
+    wide = rows.groupBy("graph", "k").agg(*[pick(m, c).alias(f"{c}_{n}") for m, n in zip(GUIDED, ("two", "all"), strict=True) for c in ("rf", "scored", "seconds")])
+    return wide.select("graph", "k", F.round("rf_two", 6).alias("rf_two"), F.round("rf_all", 6).alias("rf_all"), F.round(F.col("rf_all") / F.col("rf_two"), 6).alias("rf_ratio"), "scored_two", "scored_all", "seconds_two", "seconds_all", (F.col("seconds_all") / F.col("seconds_two")).alias("seconds_ratio"))
 
 
 PAGERANK_METHODS = ("cluster_guided", "cluster_guided_full", "hdrf", "dbh", "sne", "hep")
 
 
-def pagerank_totals(spark: SparkSession, sf_dir: str, graph: str = "order_supp", k: int = 32, iterations: int = 3, methods: tuple[str, ...] = PAGERANK_METHODS) -> DataFrame:
-    """Replication factor, messages of an iteration, seconds of partitioning, of PageRank and of both."""
-    edges = materialise(builders.graph(spark, sf_dir, graph), "graph")
+def pagerank_totals(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("cust_part", "order_supp"), k: int = 32, iterations: int = 10, methods: tuple[str, ...] = PAGERANK_METHODS) -> DataFrame:
+    """Replication factor, messages of an iteration, seconds of partitioning, of PageRank and of both; 100 iterations as published take ten times as long."""
     rows = []
-    for method in methods:
-        done = partition(edges, k, method=method, engine="sequential", tau=1.0)
-        timer = metrics.Timer()
-        with timer.phase("job"):
-            jobs.pagerank(done.assignment, iterations, k=k).agg(F.sum("rank")).collect()
-        one = metrics.replication_factor(done.assignment).first()
-        split = done.seconds["partitioning"]
-        rows.append((method, one["rf"], one["replicas"] - one["vertices"], split, timer.seconds["job"], split + timer.seconds["job"]))
-    return spark.createDataFrame(rows, "method string, rf double, messages long, partition_s double, pagerank_s double, total_s double")
+    for name in graphs:
+        edges = materialise(builders.graph(spark, sf_dir, name), "graph")
+        for method in methods:
+            done = partition(edges, k, method=method, engine="sequential", tau=1.0)
+            timer = metrics.Timer()
+            with timer.phase("job"):
+                jobs.pagerank(done.assignment, iterations, k=k).agg(F.sum("rank")).collect()
+            one = metrics.replication_factor(done.assignment).first()
+            split = done.seconds["partitioning"]
+            rows.append((name, method, one["rf"], one["replicas"] - one["vertices"], split, timer.seconds["job"], split + timer.seconds["job"]))
+    return spark.createDataFrame(rows, "graph string, method string, rf double, messages long, partition_s double, pagerank_s double, total_s double")
 
 
 def storage_levels(spark: SparkSession, sf_dir: str, graph: str = "cust_part", k: int = 32) -> DataFrame:
@@ -200,3 +208,39 @@ def evaluations(spark: SparkSession, sf_dir: str, graph: str = "cust_part", ks:
     """Score evaluations an edge: flat in k for two candidates, k for a full scan."""
     rows = sweep(builders.graph(spark, sf_dir, graph), [setting(m, k) for m in ("cluster_guided", "hdrf") for k in ks])
     return rows.select("method", "k", F.round(F.col("scored") / F.col("edges"), 6).alias("per_edge"))
+
+
+def engine_quality(spark: SparkSession, sf_dir: str, graph: str = "nation_planted", k: int = 8, methods: tuple[str, ...] = ("hdrf", "cluster_guided", "cluster_guided_full"), engines: tuple[str, ...] = ("bulk", "shards")) -> DataFrame:
+    """``method, engine, rf, alpha, rf_sequential, rf_dbh, seconds``: what distributed engines lose against the exact stream."""
+    edges = materialise(builders.graph(spark, sf_dir, graph), "graph")
+    factor = lambda done: metrics.replication_factor(done.assignment).first()["rf"]
+    plain, rows = factor(partition(edges, k, method="dbh")), []
+    for method in methods:
+        exact = factor(partition(edges, k, method=method, engine="sequential"))
+        for engine in engines:
+            done = partition(edges, k, method=method, engine=engine)
+            rows.append((method, engine, factor(done), metrics.imbalance(done.assignment, k).first()["alpha"], exact, plain, sum(done.seconds.values())))
+    return spark.createDataFrame(rows, "method string, engine string, rf double, alpha double, rf_sequential double, rf_dbh double, seconds double")
+
+
+def linearity(spark: SparkSession, sf_dir: str, graph: str = "cust_part", ks: tuple[int, ...] = (4, 32, 256), shares: tuple[float, ...] = (0.25, 0.5, 1.0), repeats: int = 3) -> DataFrame:
+    """Mean and sd of a setting's seconds over growing parts of a graph, and the power of the edges that they follow."""
+    whole, rows = materialise(builders.graph(spark, sf_dir, graph), "graph"), None
+    for share in shares:
+        part = whole.where(F.pmod(F.xxhash64("src", "dst"), F.lit(1000)) < int(1000 * share))
+        own = sweep(part, [setting(m, k, str(i)) for m in ("cluster_guided", "hdrf") for k in ks for i in range(repeats)]).select("method", "k", "edges", "seconds")
+        rows = own if rows is None else rows.union(own)
+    rows = materialise(rows, "linearity")
+    slope = rows.groupBy("method", "k").agg(F.regr_slope(F.log("seconds"), F.log("edges")).alias("power"))
+    return rows.groupBy("method", "k", "edges").agg(F.avg("seconds").alias("mean_s"), F.stddev_samp("seconds").alias("sd_s"), F.count("*").alias("runs")).join(slope, ["method", "k"])
+
+
+def memory(spark: SparkSession, sf_dir: str, graph: str = "cust_part", ks: tuple[int, ...] = (4, 32, 256)) -> DataFrame:
+    """``k, edges, dense_bits, sparse_rows, bits_an_edge``: the state of the guided method, which grows with vertices and k and not with edges."""
+    edges, out = materialise(builders.graph(spark, sf_dir, graph), "graph"), None
+    n = edges.count()
+    for k in ks:
+        done = partition(edges, k, engine="sequential")
+        own = metrics.state_size(done.clusters, done.assignment, k).select(F.lit(k).alias("k"), F.lit(n).alias("edges"), "dense_bits", "sparse_rows", (F.col("dense_bits") / n).alias("bits_an_edge"))
+        out = own if out is None else out.union(own)
+    return out

@@ -142,18 +142,60 @@ def test_live_replica_counts(spark, tmp_path):
     assert got == {x: len(p) for x, p in want.items()}
 
 
-def test_live_clusters_follow_batches(spark):
+def test_live_clusters_follow_batches(spark, tmp_path):
     from edgesplit.streaming import live
 
-    state = live.LiveClusters(spark, 8)
+    state = live.LiveClusters(spark, 8, str(tmp_path))
     state.update(frame(spark, TRIANGLES[:3]).select("src", "dst"), 0)
     state.update(frame(spark, TRIANGLES[:3]).select("src", "dst"), 0)  # replayed
     first = {r["v"]: r["d"] for r in state.clusters.collect()}
+    state = live.LiveClusters(spark, 8, str(tmp_path))  # restarted
+    assert state.version == 0 and {r["v"]: r["d"] for r in state.clusters.collect()} == first
+    state.update(frame(spark, TRIANGLES[:3]).select("src", "dst"), 0)
     state.update(frame(spark, TRIANGLES[3:]).select("src", "dst"), 1)
     second = {r["v"]: r["d"] for r in state.clusters.collect()}
     assert first == {1: 2, 2: 2, 3: 2} and second == {1: 2, 2: 2, 3: 3, 4: 3, 5: 2, 6: 2}
 
 
+def test_a_restarted_stream_goes_on(spark, tmp_path):
+    from edgesplit.streaming import live
+
+    folder = str(tmp_path / "in")
+    for part in (TRIANGLES[:3], TRIANGLES[3:]):
+        frame(spark, part).select("src", "dst").coalesce(1).write.mode("append").parquet(folder)
+        state = live.LiveClusters(spark, 8, str(tmp_path / "state"))
+        live.run(spark.readStream.schema("src long, dst long").parquet(folder), state).awaitTermination()
+    assert {r["v"]: r["d"] for r in state.clusters.collect()} == {1: 2, 2: 2, 3: 3, 4: 3, 5: 2, 6: 2}
+
+
+def test_nothing_is_ignored_silently(spark):
+    for bad in (dict(method="ne"), dict(method="greedy"), dict(method="adwise", engine="shards"), dict(degree_mode="partial"), dict(engine="sequential", clusters=frame(spark, TRIANGLES))):
+        with pytest.raises(ValueError):
+            partition(frame(spark, TRIANGLES), 2, **bad)
+
+
+@pytest.mark.parametrize("options", [dict(terms=("cluster",)), dict(terms=("replica",)), dict(try_second=True), {}])
+def test_one_shard_is_the_stream(spark, options):
+    """With all edges in one shard the fold decides as the sequential engine does, whatever the options."""
+    edges = degrees.with_position(graph(spark, SF, "nation_planted"))
+    known = partition(edges, 4, engine="sequential", alpha=2.0)
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "1")
+    try:
+        got = partition(edges, 4, engine="shards", alpha=2.0, clusters=known.clusters, **options).assignment.collect()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    want = partition(edges, 4, engine="sequential", alpha=2.0, **options).assignment.collect()
+    assert {(r["src"], r["dst"]): r["p"] for r in got} == {(r["src"], r["dst"]): r["p"] for r in want}
+
+
+def test_growing_batches_cover_the_stream():
+    from edgesplit.operators import placement
+
+    rounds = placement.growing_batches(100_000, 256, 0.5)
+    assert rounds[0][0] == 0 and rounds[-1][1] == 100_000 and all(a[1] == b[0] for a, b in zip(rounds, rounds[1:], strict=False)) and all(b - a <= max(256, a) for a, b in rounds) and len(rounds) < 30
+
+
 def test_histogram_deals_the_largest_volumes_exactly(spark):
     """With a small head the largest volumes go as by exact LPT; only the tail is grouped."""
     large = [(i, 1000 + 37 * i) for i in range(40)]
