@@ -68,7 +68,7 @@ def partition(
     edges: DataFrame, k: int, alpha: float = 1.05, method: str = "cluster_guided", engine: str = "bulk", passes: int = 1, batches: int = 4, volume_cap: int | None = None, cap_factor: float = 0.25,
     bounded: bool = True, migration: str = "residual", degree_mode: str = "exact", schedule: str = "lpt", terms: tuple[str, ...] = ("replica", "cluster"), warm_start: bool = True, try_second: bool = False,
     degrees_table: DataFrame | None = None, clusters: DataFrame | None = None, seed: int = 0, lam: float = 1.1, eps: float = 1.0, tau: float = 10.0, cache: int = 2, expansion: float = 0.1,
-    min_buffer: int = 10, latency_factor: float = 40.0, order_by: tuple[str, ...] | None = None, subrounds: int = 1, min_moved: float = 0.0, first_batch: int = 256, growth: float = 0.5,
+    min_buffer: int = 10, latency_factor: float = 40.0, order_by: tuple[str, ...] | None = None, subrounds: int = 1, min_moved: float = 0.0, first_batch: int = 256, growth: float = 0.5, shard_edges: int = 100_000,
 ) -> PartitionResult:
     """Split distinct edges ``src, dst`` into k partitions.
 
@@ -76,7 +76,8 @@ def partition(
     the sequential engine only, where one task holds the graph, as their own systems do; it has to be
     asked for.  An option that the engine does not know raises.  ``first_batch`` is the number of edges
     in the bulk engine's first batch, ``growth`` how much each next one may be larger than all before it
-    (only where a method scores all partitions; others take ``batches`` even ones).
+    (only where a method scores all partitions; others take ``batches`` even ones).  ``shard_edges`` is
+    about how many edges the shards engine gives to one fold.
     """
     prepare(edges.sparkSession)
     if method not in METHODS:
@@ -102,7 +103,7 @@ def partition(
     limit = (volume_cap or degrees.volume_cap(total, k, alpha, cap_factor)) if bounded else None
     if limit is not None and limit < 1:
         raise ValueError("the volume cap must be at least 1")
-    options = dict(limit=limit, passes=passes, migration=migration, degree_mode=degree_mode, schedule=schedule, terms=terms, warm_start=warm_start, try_second=try_second, seed=seed, lam=lam, eps=eps, tau=tau, cache=cache, expansion=expansion, min_buffer=min_buffer, latency_factor=latency_factor, first_batch=first_batch, growth=growth)
+    options = dict(limit=limit, passes=passes, migration=migration, degree_mode=degree_mode, schedule=schedule, terms=terms, warm_start=warm_start, try_second=try_second, seed=seed, lam=lam, eps=eps, tau=tau, cache=cache, expansion=expansion, min_buffer=min_buffer, latency_factor=latency_factor, first_batch=first_batch, growth=growth, shard_edges=shard_edges)
     if engine == "sequential":
         with timer.phase("partitioning"):
             _sequential(out, stream, options)
@@ -179,12 +180,15 @@ def _bulk(out: PartitionResult, stream: DataFrame, known: DataFrame, engine: str
 
 
 def _shards(out: PartitionResult, rest: DataFrame, sets: DataFrame | None, loads: placement.Loads, o: dict) -> list[DataFrame]:
-    """Each shard of edges is folded alone, with its share of every partition's free places; what finds none overflows."""
+    """Each shard of edges is folded alone, with its share of every partition's free places; what finds none overflows.
+
+    An edge's shard is that of its end of lower degree: such a vertex's edges meet, and only hubs are spread.
+    """
     k, method = out.k, out.method
     spark = rest.sparkSession
-    shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    shards = max(1, -(-out.edges // o["shard_edges"]))
     rows = placement.with_sets(rest, sets if sets is not None else spark.createDataFrame([], "v long, ps array<int>"))
-    rows = rows.withColumn("__shard", F.pmod(F.xxhash64(F.least("src", "dst")), F.lit(shards)).cast("int"))
+    rows = rows.withColumn("__shard", F.pmod(F.xxhash64(F.when((F.col("d_u") < F.col("d_v")) | ((F.col("d_u") == F.col("d_v")) & (F.col("src") <= F.col("dst"))), F.col("src")).otherwise(F.col("dst"))), F.lit(shards)).cast("int"))
     sizes = {r["__shard"]: r["n"] for r in rows.groupBy("__shard").agg(F.count("*").alias("n")).collect()}
     whole, free = max(1, sum(sizes.values())), loads.free()
     kept = [(n, t) for n, t in rest.dtypes]
