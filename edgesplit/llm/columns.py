@@ -24,3 +24,8 @@ class Packed:
     def back(self, *without: str) -> list[Column]:
         """The columns as they were."""
         return [F.col(name) if name in self._apart else F.col("row").getField(name).alias(name) for name in self._names if name not in without]
+
+
+def text_key(text: Column) -> Column:
+    """Tells rows of one doc_id with different texts apart."""
+    return F.xxhash64(F.coalesce(text.cast("string"), F.lit("")))

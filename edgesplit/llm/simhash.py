@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 from ..operators.components import connected_components
 from ..plans.storage import materialise
 from . import words as W
+from .columns import Packed, text_key
 
 BITS = 64
 #: Members of a bucket that are compared pair by pair.
@@ -287,18 +288,19 @@ def _set_keys(hashed: np.ndarray, n: np.ndarray, tables: int) -> np.ndarray:
 
 
 def _set_prints(docs: DataFrame, shingle: int) -> DataFrame:
-    """``doc_id, node, fp, fp2, few, keys`` of each text's shingle set: its digest, two fingerprints, if it is under ``FEW``, and its packed keys (null without words)."""
+    """``doc_id, text_key, node, fp, fp2, few, keys`` of each text and its shingle set: its digest, two fingerprints, if it is under ``FEW``, and its packed keys (null without words)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, texts = batch.column("doc_id"), batch.column("text")
+            texts = batch.column("text")
             for a, b in W.documents(texts, _CHUNK):
                 hashed, n = _distinct(*shingle_hashes(texts.slice(a, b - a), shingle))
                 values = [_set_digests(hashed, n), _majority(hashed, n), _majority(W.mix(hashed * _GOLDEN), n)]
                 keys = pa.array([k.tobytes() if m else None for k, m in zip(_set_keys(hashed, n, TABLES), n.tolist(), strict=True)], pa.binary())
-                yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), *(pa.array(x.view(np.int64)) for x in values), pa.array(n < FEW), keys], names=["doc_id", "node", "fp", "fp2", "few", "keys"])
+                own = [batch.column(c).slice(a, b - a) for c in ("doc_id", "text_key")]
+                yield pa.RecordBatch.from_arrays([*own, *(pa.array(x.view(np.int64)) for x in values), pa.array(n < FEW), keys], names=["doc_id", "text_key", "node", "fp", "fp2", "few", "keys"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, node long, fp long, fp2 long, few boolean, keys binary")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), text_key(F.col("text")).alias("text_key")).mapInArrow(run, "doc_id long, text_key long, node long, fp long, fp2 long, few boolean, keys binary")
 
 
 def _bits_apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -466,11 +468,12 @@ def _similar(sets: list[np.ndarray], rows: np.ndarray, columns: np.ndarray, simi
 
 
 def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
-    """``doc_id, component_id`` for every row: documents whose shingle sets have at least this Jaccard similarity link.
+    """``doc_id, text_key, root, component_id`` for every row: documents whose shingle sets have at least this Jaccard similarity link.
 
     Candidates share a key of their shingle sets and have fingerprints within reach; links are verified
     on whole sets.  Rows with equal sets are one class.  Texts that are null or without words are one
     class; a null doc_id never names a component; repeated rows stay; an empty table gives an empty result.
+    ``root`` tells components apart, with a doc_id or without; ``text_key`` tells rows of one doc_id apart.
     """
     prints = materialise(_set_prints(docs, shingle), "near-prints")
     firsts = F.min_by(F.struct("fp", "fp2", "few", "keys"), F.struct("fp", "fp2")).alias("own")
@@ -517,12 +520,18 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
         roots = connected_components(links.union(links_between(apart, bodies, similarity)))
     named = classes.join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     least = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    final = named.join(least, "root").select("node", "component_id")
-    return prints.join(final, "node").select("doc_id", "component_id")
+    final = named.join(least, "root").select("node", "root", "component_id")
+    return prints.join(final, "node").select("doc_id", "text_key", "root", "component_id")
 
 
 def keep_one(docs: DataFrame, components: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose doc_id names its component, once each; rows of components without any doc_id stay."""
-    heads = components.where("doc_id = component_id").select("doc_id").distinct()
-    unnamed = docs.where("doc_id is null") if components.where("doc_id is null and component_id is null").limit(1).count() else docs.limit(0)
-    return docs.join(heads, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]).union(unnamed)
+    """One row of ``docs`` for each component: that of the smallest doc_id (of several with it, of the smallest text key).
+
+    A row without a doc_id stays only for a component in which none has one.  Rows that share a doc_id
+    but not their text belong to the components of their texts.
+    """
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "text_key")).alias("first")
+    heads = components.groupBy("root").agg(first).select(F.col("first.doc_id").alias("head"), F.col("first.text_key").alias("head_key"))
+    own = Packed(docs, apart=("doc_id",), extra=[text_key(F.col("text")).alias("text_key")])
+    kept = own.rows.join(heads, (F.col("text_key") == F.col("head_key")) & F.col("doc_id").cast("long").eqNullSafe(F.col("head")), "left_semi")
+    return kept.dropDuplicates(["doc_id", "text_key"]).select(*own.back())

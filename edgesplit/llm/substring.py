@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from ..plans.storage import materialise
 from . import words as W
-from .columns import Packed
+from .columns import Packed, text_key
 from .mixing import word_count
 
 WINDOW = 13
@@ -255,11 +255,6 @@ def whole_words(text: Column) -> Column:
     return F.trim(F.regexp_replace(F.coalesce(text, F.lit("")), r"[\x20\x09-\x0D]+", " "))
 
 
-def text_key(text: Column) -> Column:
-    """Tells rows of one doc_id with different texts apart."""
-    return F.xxhash64(F.coalesce(text, F.lit("")))
-
-
 def removals(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``doc_id, text_key, kept_text, n_words, n_removed`` of each text that loses words, once for each doc_id."""
     if window < PERIOD:

@@ -154,6 +154,44 @@ def test_near_copies_by_similarity(spark):
     assert kept == set(range(30))
 
 
+def test_keep_one_loses_no_text(spark):
+    """Rows that share a doc_id but not their text, repeated rows, and rows without a doc_id."""
+    text = lambda i: " ".join(f"t{i}w{j}" for j in range(30))
+    rows = [(1, text(1)), (1, text(2)), (2, text(1)), (3, text(2) + " more"), (4, text(4)), (4, text(4)), (None, text(5)), (None, text(5)), (None, text(4)), (None, text(6))]
+    frame = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], SCHEMA).withColumn("head", F.lit("clash"))
+    kept = simhash.keep_one(frame, simhash.similar_documents(frame))
+    assert kept.columns == frame.columns
+    assert sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=repr) == sorted([(1, text(1)), (1, text(2)), (4, text(4)), (None, text(5)), (None, text(6))], key=repr)
+
+
+def test_near_copies_in_one_large_bucket(spark):
+    """A chain of drifting versions in one bucket, compared against brute force whatever the size of Arrow batches."""
+    draw = np.random.default_rng(12)
+    now, texts = [f"w{x}" for x in draw.integers(0, 10**6, 120)], []
+    for i in range(160):
+        now = list(now)
+        for at in draw.choice(120, 2, replace=False):
+            now[at] = f"v{i}x{at}"
+        texts.append(" ".join(now))
+    frame = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], SCHEMA)
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(116)} for t in texts]
+    near = lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])
+    root = list(range(len(texts)))
+    for a in range(len(texts)):
+        for b in range(a):
+            if near(a, b):
+                x, y = sorted((root[a], root[b]))
+                root = [x if r == y else r for r in root]
+    before, found = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch"), []
+    for size in ("10000", "7"):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        try:
+            found.append({r["doc_id"]: r["component_id"] for r in simhash.similar_documents(frame).collect()})
+        finally:
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    assert found[0] == found[1] == dict(enumerate(root))
+
+
 def test_near_copies_just_above_the_similarity(spark):
     """Pairs with Jaccard similarity 0.80 to 0.85 among unrelated texts, and one text copied often with edits of its own."""
     draw = np.random.default_rng(5)
