@@ -424,8 +424,10 @@ def links_between(apart: DataFrame, bodies: DataFrame, similarity: float) -> Dat
     The members outside a bucket's largest component meet all its members block against block, on whole sets.
     """
     sizes = apart.groupBy("key").agg(F.ceil(F.count("*") / _BLOCK).cast("int").alias("blocks"), F.ceil(F.sum(F.col("other").cast("int")) / _BLOCK).cast("int").alias("others"))
+    # Both are tables when they are joined, so that rows of a large bucket are not gathered for it and are dealt by blocks after.
+    sizes = materialise(sizes, "near-sizes")
     block = lambda n, salt: F.pmod(F.xxhash64("node", F.lit(salt)), F.col(n)).cast("int")
-    dealt = apart.join(sizes, "key")
+    dealt = materialise(apart.join(sizes, "key"), "near-dealt")
     left = dealt.where("other").select("key", "node", "root", block("others", 5).alias("x"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("y"), F.lit(0).alias("side"))
     right = dealt.select("key", "node", "root", F.explode(F.sequence(F.lit(0), F.col("others") - 1)).alias("x"), block("blocks", 7).alias("y"), F.lit(1).alias("side"))
 
