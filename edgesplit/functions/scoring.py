@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import DoubleType, LongType
 
 
 def replica_term(replicated: Column, own_degree: Column, degree_sum: Column) -> Column:
@@ -41,3 +45,16 @@ def first_candidate_wins(du: Column, dv: Column, vol_u: Column, vol_v: Column, u
 
 def balance_term(load: Column, least: Column, most: Column, lam: float, eps: float) -> Column:
     return F.lit(lam) * (most - load) / (F.lit(eps) + most - least)
+
+
+@pandas_udf(DoubleType())
+def pair_score_arrow(du: pd.Series, dv: pd.Series, own: pd.Series, vol_u: pd.Series, vol_v: pd.Series, rep_u: pd.Series, rep_v: pd.Series) -> pd.Series:
+    """The pair score by Arrow batches, where ``own`` is the volume at home on the candidate: to compare with the native one."""
+    both = du + dv
+    return rep_u * (2 - du / both) + rep_v * (2 - dv / both) + own / (vol_u + vol_v)
+
+
+@pandas_udf(LongType())
+def merge_masks(mask: pd.Series) -> int:
+    """Bitwise or of a group's replica masks, as a user's own aggregate: to compare with the native one."""
+    return int(np.bitwise_or.reduce(mask.to_numpy(np.int64)))

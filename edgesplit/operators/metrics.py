@@ -53,6 +53,19 @@ def check_exact_cover(edges: DataFrame, assignment: DataFrame) -> DataFrame:
     return missing.crossJoin(extra)
 
 
+def replica_bitmaps(assignment: DataFrame, k: int) -> DataFrame:
+    """``v, bits``: the partitions that hold each vertex as an array of words of 63 bits, for any k."""
+    ends = assignment.select(F.explode(F.array("src", "dst")).alias("v"), "p")
+    words = [F.bit_or(F.when(F.floor(F.col("p") / 63) == i, F.expr("shiftleft(1L, p % 63)")).otherwise(F.lit(0).cast("long"))) for i in range(-(-k // 63))]
+    return ends.groupBy("v").agg(F.array(*words).alias("bits"))
+
+
+def cover_sketches(assignment: DataFrame, lg_k: int = 14) -> DataFrame:
+    """``p, sketch``: a mergeable distinct-count sketch of each partition's vertices."""
+    ends = assignment.select(F.explode(F.array("src", "dst")).alias("v"), "p")
+    return ends.groupBy("p").agg(F.hll_sketch_agg("v", lg_k).alias("sketch"))
+
+
 def stage_mix(assignment: DataFrame) -> DataFrame:
     """``stage, n, share``: edges by how they were placed."""
     counts = assignment.groupBy("stage").agg(F.count("*").alias("n"))

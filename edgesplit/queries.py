@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import workloads
+from .functions import scoring
 from .functions import sql as sql_functions
 from .functions.hashing import portable, portable_sql
 from .operators import cluster_map, clustering, degrees, jobs, metrics, placement, stateless
@@ -440,6 +441,101 @@ def _sql_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _add("sql_portable_hash", _sql_surface, f"WITH {_g('cust_order')} SELECT {portable_sql('src')} % 8 AS p, count(*) AS n FROM g GROUP BY 1")
 
+_ENDS_SQL = "(SELECT src AS v, p FROM a UNION ALL SELECT dst, p FROM a)"
+_add(
+    "replica_bitmaps_wide", lambda s, d: metrics.replica_bitmaps(_stateless(s, d, "hash_edge", "cust_part", 100), 100).select("v", F.col("bits")[0].alias("low"), F.col("bits")[1].alias("high")),
+    f"WITH {_assigned_sql('hash_edge', 'cust_part', 100)} SELECT v, CAST(bit_or(CASE WHEN p < 63 THEN CAST(1 AS BIGINT) << p ELSE 0 END) AS BIGINT) AS low, CAST(bit_or(CASE WHEN p >= 63 THEN CAST(1 AS BIGINT) << (p - 63) ELSE 0 END) AS BIGINT) AS high "
+    f"FROM {_ENDS_SQL} t GROUP BY v",
+)
+
+
+def _sketched_covers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether each partition's distinct vertices, and those of all by merging sketches, are estimated within a twentieth."""
+    done = materialise(_stateless(spark, sf_dir, "dbh", "cust_part", 8), "assigned")
+    ends = done.select(F.explode(F.array("src", "dst")).alias("v"), "p")
+    sketches = materialise(metrics.cover_sketches(done), "sketches")
+    guess = sketches.select("p", F.hll_sketch_estimate("sketch").alias("guess")).union(sketches.agg(F.lit(-1).alias("p"), F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("guess")))
+    exact = ends.groupBy("p").agg(F.countDistinct("v").alias("n")).union(ends.agg(F.lit(-1).alias("p"), F.countDistinct("v").alias("n")))
+    return guess.join(exact, "p").select("p", "n", (F.abs(F.col("guess") - F.col("n")) <= 0.05 * F.col("n")).alias("near"))
+
+
+_add(
+    "cover_sketches", _sketched_covers,
+    f"WITH {_assigned_sql('dbh', 'cust_part', 8)}, e AS {_ENDS_SQL} SELECT p, count(DISTINCT v) AS n, true AS near FROM e GROUP BY p UNION ALL SELECT -1, count(DISTINCT v), true FROM e",
+)
+_add(
+    "udaf_merge_masks", lambda s, d: _stateless(s, d, "hash_edge", "cust_part", 8).select(F.explode(F.array("src", "dst")).alias("v"), F.expr("shiftleft(1L, p)").alias("m")).groupBy("v").agg(scoring.merge_masks("m").alias("bits")),
+    ORACLES["replica_bitmaps"],
+)
+
+
+def _arrow_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    edges = _nation_plan(spark, sf_dir)[1]
+    own = edges.where("p_u = p_v").select("src", "dst", F.col("p_u").alias("p"))
+    rows = placement.with_sets(edges.where("p_u <> p_v"), placement.replica_sets(own))
+    held = lambda ps, p: F.array_contains(F.col(ps), F.col(p)).cast("double")
+    score = lambda p, vol: F.round(scoring.pair_score_arrow("d_u", "d_v", vol, "vol_u", "vol_v", held("ps_u", p), held("ps_v", p)), 6)
+    return rows.select("src", "dst", score("p_u", "vol_u").alias("score_u"), score("p_v", "vol_v").alias("score_v"))
+
+
+_add("arrow_udf_pair_score", _arrow_scores, ORACLES["pair_score_nation"])
+
+
+def _udtf_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sql_functions.register(prepare(spark))
+    _graph(spark, sf_dir, "cust_order").createOrReplaceTempView("edges")
+    homes = "SELECT src, dst, CAST(portable_hash(src, 0L) % 4 AS INT) AS a, CAST(portable_hash(dst, 0L) % 4 AS INT) AS b FROM edges"
+    return spark.sql(f"SELECT src, dst, t.p, t.is_home FROM ({homes}), LATERAL edge_partition_candidates(a, b, 4) t")
+
+
+_add(
+    "udtf_candidates", _udtf_candidates,
+    f"WITH {_g('cust_order')} SELECT src, dst, CAST(i AS INTEGER) AS p, i IN ({portable_sql('src')} % 4, {portable_sql('dst')} % 4) AS is_home FROM g CROSS JOIN range(4) r(i)",
+)
+
+
+def _udtf_lpt(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """List scheduling as a table function over one array of the nations' volumes, in the order of their names."""
+    sql_functions.register(prepare(spark))
+    volumes = clustering.volumes(_nation_clusters(spark, sf_dir)[1]).agg(F.sort_array(F.collect_list(F.struct("c", "vol"))).alias("x"))
+    volumes.select(F.col("x.vol").alias("vols")).createOrReplaceTempView("nation_volumes")
+    return spark.sql(f"SELECT t.place, t.vol, t.p FROM nation_volumes, LATERAL lpt(vols, {_K}) t")
+
+
+_add("udtf_lpt", _udtf_lpt, f"WITH RECURSIVE {_LPT} SELECT CAST(row_number() OVER (ORDER BY c) - 1 AS INTEGER) AS place, vol, p FROM m")
+_add(
+    "map_policies", lambda s, d: (
+        (lambda v: cluster_map.assign(v, _K, "hash").withColumn("policy", F.lit("hash")).union(cluster_map.assign(v, _K, "unsorted_list").withColumn("policy", F.lit("unsorted_list"))))(clustering.volumes(_nation_clusters(s, d)[1]))
+    ),
+    f"WITH RECURSIVE {_LPT.replace('ORDER BY vol DESC, c', 'ORDER BY c')} SELECT c, vol, p, 'unsorted_list' AS policy FROM m UNION ALL SELECT c, vol, CAST({portable_sql('c')} % {_K} AS INTEGER), 'hash' FROM vols",
+)
+_add(
+    "cluster_quality_nation", lambda s, d: (
+        metrics.cluster_quality(*_nation_clusters(s, d)).select("clusters", "largest_volume", F.round("inside_share", 6).alias("inside_share"), F.round("modularity", 6).alias("modularity"))
+    ),
+    f"WITH {_CL}, i AS (SELECT avg((a.c = b.c)::INTEGER) AS x FROM g JOIN cl a ON a.v = src JOIN cl b ON b.v = dst) "
+    "SELECT count(*) AS clusters, max(vol) AS largest_volume, round((SELECT x FROM i), 6) AS inside_share, round((SELECT x FROM i) - sum(vol::DOUBLE * vol) / (sum(vol)::DOUBLE * sum(vol)::DOUBLE), 6) AS modularity FROM vols",
+)
+_add(
+    "state_size_nation", lambda s, d: metrics.state_size(_nation_clusters(s, d)[1], _stateless(s, d, "hash_edge", _NATION, 8), 8),
+    f"WITH {_assigned_sql('hash_edge', _NATION, 8)} SELECT (SELECT count(*) * 8 FROM d) AS dense_bits, (SELECT count(*) FROM (SELECT DISTINCT v, p FROM {_ENDS_SQL} t) u) AS sparse_rows",
+)
+_add(
+    "dbh_given_degrees", lambda s, d: (lambda e: partition(e, 8, method="dbh", degrees_table=degrees.compute(e)).assignment.select("src", "dst", "p"))(_graph(s, d, "cust_part")),
+    f"WITH {_assigned_sql('dbh', 'cust_part', 8)} SELECT src, dst, p FROM a",
+)
+_add(
+    "window_recent_degree",
+    lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("recent")),
+    "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS recent FROM events",
+)
+_add(
+    "session_windows", lambda s, d: live.session_counts(table(s, d, "events")).select("user_id", F.unix_micros(F.col("start").cast("timestamp")).alias("start_us"), "n"),
+    "WITH b AS (SELECT user_id, epoch_us(ts) AS t, lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events), "
+    "s AS (SELECT user_id, t, sum(CASE WHEN before IS NULL OR t - before >= 21600000000 THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY t ROWS UNBOUNDED PRECEDING) AS i FROM b) "
+    "SELECT user_id, min(t) AS start_us, count(*) AS n FROM s GROUP BY user_id, i",
+)
+
 # ---- streams -------------------------------------------------------------------------------------
 
 
@@ -509,6 +605,18 @@ _add(
 )
 
 
+def _complexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The nearest whole power of k that score evaluations an edge follow: none for two candidates, the first for a full scan.
+
+    Two candidates stay below 2 an edge, but come nearer to it as k grows and fewer edges are pre-partitioned.
+    """
+    slope = F.regr_slope(F.log("per_edge"), F.log("k"))
+    return workloads.evaluations(spark, sf_dir).groupBy("method").agg(F.abs(F.round(slope, 0)).alias("power_of_k"))
+
+
+_add("complexity_in_k", _complexity, "SELECT unnest(['cluster_guided', 'hdrf']) AS method, unnest([0.0::DOUBLE, 1.0::DOUBLE]) AS power_of_k")
+
+
 def _quality_engines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Distributed engines against the exact stream and against DBH: replication factors within a twentieth, and below."""
     rows = workloads.engine_quality(spark, sf_dir, _NATION, 8, ("hdrf", "cluster_guided", "cluster_guided_full"), ("bulk",))

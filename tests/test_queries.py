@@ -13,6 +13,7 @@ from .conftest import SF
 FAST = [
     "graph_cust_part", "graph_doc_line", "graph_user_next", "graph_page_link", "degree_histogram", "dbh_rf", "grid_assign", "pds_assign", "lpt_nation", "two_candidate_one_batch", "cluster_round_nation_planted", "hdrf_one_batch",
     "certificates_sequential", "pagerank_3", "cc_labels", "report_cube", "replica_bitmaps", "sql_portable_hash", "stream_dbh", "session_edges", "asof_cluster_snapshot", "evaluations_bound", "rf_stateless", "load_statistics", "cluster_proposals_residual",
+    "replica_bitmaps_wide", "cover_sketches", "udaf_merge_masks", "arrow_udf_pair_score", "udtf_candidates", "udtf_lpt", "map_policies", "cluster_quality_nation", "state_size_nation", "dbh_given_degrees", "window_recent_degree", "session_windows", "complexity_in_k",
 ]
 
 
