@@ -278,18 +278,21 @@ def read_packages(packages: DataFrame, folder: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                out = []
+                out, held = [], 0
                 for headers, payload in records(row["package"], row["n_bytes"], row["content"]):
                     out.append(_described(headers, payload))
-                    if len(out) >= 1000:
+                    held += len(payload)
+                    if len(out) >= 1000 or held >= _BATCH_BYTES:
                         yield pa.RecordBatch.from_pylist(out, schema=_ROWS)
-                        out = []
+                        out, held = [], 0
                 if out:
                     yield pa.RecordBatch.from_pylist(out, schema=_ROWS)
 
     return packages.mapInArrow(run, "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary")
 
 
+#: Payload bytes after which a batch of records goes on, so that very long pages do not gather in a worker.
+_BATCH_BYTES = 16 << 20
 _ROWS = pa.schema(
     [("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("payload", pa.binary())]
 )
