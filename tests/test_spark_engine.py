@@ -9,7 +9,7 @@ from edgesplit.operators import cluster_map, clustering, degrees, jobs, metrics
 from edgesplit.operators import sequential as seq
 from edgesplit.operators.components import connected_components
 from edgesplit.plans.api import partition
-from edgesplit.sources import edge_list
+from edgesplit.sources import builders, edge_list
 from edgesplit.sources.builders import graph
 
 from .conftest import SF
@@ -199,3 +199,34 @@ def test_histogram_deals_the_largest_volumes_exactly(spark):
     exact, _ = cluster_map.list_schedule([(v, c) for c, v in reversed(large)], 5)
     assert {r["c"]: r["p"] for r in rows if r["c"] < 100} == dict(zip([c for c, _ in reversed(large)], exact, strict=True))
     assert sorted((r["c"], r["vol"]) for r in rows) == sorted((r["c"], r["vol"]) for r in vols.collect())
+
+
+def test_nearest_rows_by_cosine(spark):
+    """Tiles of a block, ties, several blocks and vectors without a direction, against one plain matrix."""
+    draw = np.random.default_rng(5)
+    x = draw.normal(size=(300, 6)).astype(np.float32)
+    x[40:60] = x[7]
+    ids = np.arange(300) * 3
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    cos = np.round(unit @ unit.T, 12)
+    np.fill_diagonal(cos, -2)
+    best = np.argsort(-cos, axis=1, kind="stable")[:, :8]
+    i, j, _ = builders.nearest_of_block(ids, unit, ids, unit, 8, tall=37, wide=41)
+    assert sorted(zip(i.tolist(), j.tolist(), strict=True)) == sorted((int(ids[r]), int(ids[c])) for r in range(300) for c in best[r])
+    rows = [(int(v), [float(y) for y in row]) for v, row in zip(ids, x, strict=True)]
+    odd = [(1, None), (2, [0.0] * 6), (4, [float("nan")] + [1.0] * 5), (5, [float("inf")] + [1.0] * 5), (7, [None] + [1.0] * 5), (None, [1.0] * 6)]
+    vectors = spark.createDataFrame(rows + odd, "vec_id long, embedding array<float>")
+    got = {(r["src"], r["dst"]) for r in builders.knn(vectors, values=200).collect()}
+    assert got == {tuple(sorted((int(ids[r]), int(ids[c])))) for r in range(300) for c in best[r]}
+
+
+def test_a_block_of_vectors_needs_little_memory():
+    import tracemalloc
+
+    x = np.random.default_rng(6).normal(size=(12_000, 8))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    tracemalloc.start()
+    i, _, _ = builders.nearest_of_block(np.arange(12_000), x, np.arange(12_000), x, 8)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(i) == 96_000 and peak < 250e6  # the whole matrix alone has 1,152 MB
