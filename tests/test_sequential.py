@@ -14,7 +14,7 @@ from edgesplit.operators.degrees import hard_cap, volume_cap
 from edgesplit.operators.placement import least_loaded_turns
 from edgesplit.operators.stateless import DIFFERENCE_SETS, grid_shape
 from edgesplit.plans.advisor import choose
-from edgesplit.plans.api import METHODS, STATELESS, run_sequential
+from edgesplit.plans.api import METHODS, STATELESS, run_sequential, run_stream
 
 OPTIONS = dict(limit=None, passes=1, migration="residual", degree_mode="exact", schedule="lpt", terms=("replica", "cluster"), warm_start=True, try_second=False, seed=0, lam=1.1, eps=1.0, tau=10.0, cache=2, expansion=0.1, min_buffer=10, latency_factor=40.0)
 TRIANGLES = np.array([(1, 2), (2, 3), (1, 3), (4, 5), (5, 6), (4, 6), (3, 4)])
@@ -161,3 +161,65 @@ def test_quality_trends_on_planted_communities():
     hashed = portable_numpy(pairs[:, 0] * 1000 + pairs[:, 1]) % k
     assert rf(stream, got["cluster_guided_full"][1].p) <= rf(stream, got["cluster_guided"][1].p) < rf(stream, hashed)
     assert got["cluster_guided"][1].scored == 2 * (got["cluster_guided"][1].stage != 0).sum() or got["cluster_guided"][1].scored <= 2 * len(pairs)
+
+
+def plain_hdrf(stream, k, cap, lam=1.1, eps=1.0):
+    """All k scores of every edge."""
+    table, load, out = np.zeros((stream.n, k), bool), np.zeros(k), []
+    for u, v in zip(stream.u.tolist(), stream.v.tolist(), strict=True):
+        share = stream.degree[u] / (stream.degree[u] + stream.degree[v])
+        score = lam * (load.max() - load) / (eps + load.max() - load.min()) + table[u] * (2 - share) + table[v] * (1 + share)
+        score[load >= cap] = -1
+        p = int(np.round(score, 9).argmax())
+        out.append(p)
+        load[p] += 1
+        table[u, p] = table[v, p] = True
+    return out
+
+
+@pytest.mark.parametrize("lam", [0.0, 1.1, 5.0])
+@pytest.mark.parametrize(("k", "alpha"), [(2, 1.0), (9, 1.05), (70, 1.3)])
+def test_hdrf_is_the_best_of_all(k, alpha, lam):
+    draw = np.random.default_rng(k)
+    pairs = np.unique(draw.integers(0, 90, (700, 2)), axis=0)
+    draw.shuffle(pairs)
+    cap = hard_cap(len(pairs), k, alpha)
+    stream, parts, _ = run(pairs, k, cap, "hdrf", lam=lam)
+    assert parts.p.tolist() == plain_hdrf(stream, k, cap, lam) and parts.scored == k * len(pairs)
+
+
+def random_pairs(n, m, seed=0):
+    draw = np.random.default_rng(seed)
+    pairs = np.unique(draw.integers(0, n, (m, 2)) * 8 + 3, axis=0)
+    draw.shuffle(pairs)
+    return pairs
+
+
+def spool(pairs, parts=5, seed=0):
+    order = np.random.default_rng(seed).permutation(len(pairs))
+    return seq.SpooledStream((c, pairs[c, 0], pairs[c, 1]) for c in np.array_split(order, parts))
+
+
+@pytest.mark.parametrize("method", [m for m in METHODS if m not in STATELESS])
+def test_a_spooled_stream_is_the_stream(method):
+    pairs = random_pairs(80, 500)
+    cap = hard_cap(len(pairs), 7, 1.05)
+    o = OPTIONS | dict(limit=volume_cap(len(pairs), 7, 1.05, 0.25))
+    _, want, names = run_sequential(pairs[:, 0], pairs[:, 1], 7, cap, method, o)
+    _, got, own = run_stream(spool(pairs), 7, cap, method, o)
+    assert (got.p == want.p).all() and (got.stage == want.stage).all() and got.mask == want.mask and (names is None or (names == own).all())
+    with pytest.raises(ValueError, match="gapless"):
+        seq.SpooledStream([(np.array([0, 2]), np.array([1, 2]), np.array([2, 3]))])
+
+
+@pytest.mark.parametrize("method", ["cluster_guided", "cluster_guided_full", "hdrf"])
+def test_streaming_methods_hold_vertices_not_edges(method):
+    import tracemalloc
+
+    pairs = random_pairs(2_000, 400_000)
+    stream, k = spool(pairs), 4
+    tracemalloc.start()
+    run_stream(stream, k, hard_cap(len(pairs), k, 1.05), method, OPTIONS | dict(limit=volume_cap(len(pairs), k, 1.05, 0.25)))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 20 * len(pairs) + 20e6  # lists of both ends alone take 16 bytes an edge, their integers 64 more

@@ -5,9 +5,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from edgesplit.functions.hashing import portable, portable_numpy
+from edgesplit import workloads
 from edgesplit.operators import cluster_map, clustering, degrees, jobs, metrics
 from edgesplit.operators import sequential as seq
 from edgesplit.operators.components import connected_components
+from edgesplit.plans import storage
 from edgesplit.plans.api import partition
 from edgesplit.sources import builders, edge_list
 from edgesplit.sources.builders import graph
@@ -230,3 +232,35 @@ def test_a_block_of_vectors_needs_little_memory():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert len(i) == 96_000 and peak < 250e6  # the whole matrix alone has 1,152 MB
+
+
+def test_a_setting_is_a_task_without_copies_of_the_stream(spark):
+    context = spark.sparkContext
+    context.setJobGroup("sweep", "")
+    rows = workloads.sweep(graph(spark, SF, "nation_planted"), [workloads.setting("hdrf", k) for k in (2, 3, 4, 5, 6)])
+    assert len(rows.inputFiles()) == 5  # written by five tasks
+    assert [r["k"] for r in rows.orderBy("k").collect()] == [2, 3, 4, 5, 6]
+    jobs_run = [context.statusTracker().getJobInfo(i) for i in context.statusTracker().getJobIdsForGroup("sweep")]
+    stages = {i for j in jobs_run if j for i in j.stageIds}
+    assert 5 in {s.numTasks for s in map(context.statusTracker().getStageInfo, stages) if s}
+
+
+def test_given_positions_with_gaps_keep_the_order(spark):
+    gaps = partition(frame(spark, [(7 * p + 3, u, v) for p, u, v in TRIANGLES]), 2, 1.2, engine="sequential", volume_cap=8)
+    want = partition(frame(spark, TRIANGLES), 2, 1.2, engine="sequential", volume_cap=8)
+    plain = lambda d: sorted((r["src"], r["dst"], r["p"], r["stage"]) for r in d.assignment.collect())
+    assert plain(gaps) == plain(want) and sorted(r["pos"] for r in gaps.assignment.collect()) == [7 * p + 3 for p, _, _ in TRIANGLES]
+
+
+def test_temporary_tables_go(spark):
+    made = []
+    with storage.temporary():
+        made += storage.materialise(spark.range(3), "a").inputFiles()
+        with storage.temporary():
+            made += storage.materialise(spark.range(3), "b").inputFiles()
+            made += storage.materialise(spark.range(4), "c", keep=True).inputFiles()
+        assert storage.exists(spark, made[0]) and storage.exists(spark, made[-1])
+    assert not any(storage.exists(spark, x) for x in made)
+    with storage.temporary():
+        kept = storage.materialise(spark.range(3), "d", keep=True)
+    assert kept.count() == 3
