@@ -223,3 +223,53 @@ def test_streaming_methods_hold_vertices_not_edges(method):
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert peak < 10e6  # lists of both ends alone take 3 MB, their integers 13 MB more
+
+
+@pytest.mark.parametrize("method", ["ne", "hep"])
+def test_expansion_holds_vertices_and_bytes_of_edges(method):
+    import tracemalloc
+
+    pairs = random_pairs(10_000, 150_000)
+    stream, k = spool(pairs), 4
+    tracemalloc.start()
+    run_stream(stream, k, hard_cap(len(pairs), k, 1.05), method, OPTIONS)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 20e6  # 46 MB with lists of both ends, other ends and edges
+
+
+def knotted_pairs(seed=0):
+    """Hubs, loops and edges that occur twice."""
+    draw = np.random.default_rng(seed)
+    pairs = np.concatenate((draw.integers(0, 90, (500, 2)), np.stack((np.full(150, 7), draw.integers(0, 90, 150)), axis=1), np.full((3, 2), 7), np.full((2, 2), 50)))
+    draw.shuffle(pairs)
+    return pairs
+
+
+@pytest.mark.parametrize("ends", [1, 5, 64, 10**6])
+def test_adjacency_in_a_file_is_that_in_memory(ends):
+    stream = spool(knotted_pairs())
+    offsets, other, edge = stream.neighbours()
+    near = seq.SpooledAdjacency(stream, ends)
+    assert near.offsets.tolist() == offsets.tolist()
+    assert near.rows(0, 2 * stream.m).tolist() == np.stack((other, edge), axis=1).tolist()
+    assert near.pairs(3, 9) == list(zip(other[3:9].tolist(), edge[3:9].tolist(), strict=True))
+
+
+@pytest.mark.parametrize("k", [3, 40, 70])
+@pytest.mark.parametrize("tau", [0.5, 1.5, 100.0])
+def test_expansion_by_arrays_is_that_one_by_one(k, tau, monkeypatch):
+    pairs = knotted_pairs(k)
+    cap = hard_cap(len(pairs), k, 1.02)
+    _, want, _ = run(pairs, k, cap, "hep", tau=tau)
+    assert (want.p >= 0).all() and max(want.load) <= cap and np.bincount(want.p, minlength=k).tolist() == want.load
+    masks = [0] * len(want.mask)
+    for u, v, p in zip(want._stream.u.tolist(), want._stream.v.tolist(), want.p.tolist(), strict=True):
+        masks[u] |= 1 << p
+        masks[v] |= 1 << p
+    assert list(want.mask) == masks
+    # As where vertices are many (masks in plain arrays), all of them hubs, and hubs are read in pieces.
+    monkeypatch.setattr(seq._masks, "__defaults__", (0,))
+    monkeypatch.setattr(seq.expand, "__defaults__", (*seq.expand.__defaults__[:-2], 0, 3))
+    _, got, _ = run_stream(spool(pairs), k, cap, "hep", OPTIONS | dict(tau=tau))
+    assert (got.p == want.p).all() and (got.stage == want.stage).all() and list(got.mask) == masks and got.scored == want.scored

@@ -10,7 +10,8 @@ from edgesplit.operators import cluster_map, clustering, degrees, jobs, metrics
 from edgesplit.operators import sequential as seq
 from edgesplit.operators.components import connected_components
 from edgesplit.plans import storage
-from edgesplit.plans.api import partition
+from edgesplit.plans.api import partition, run_sequential
+from edgesplit.queries import QUERIES
 from edgesplit.sources import builders, edge_list
 from edgesplit.sources.builders import graph
 
@@ -264,3 +265,14 @@ def test_temporary_tables_go(spark):
     with storage.temporary():
         kept = storage.materialise(spark.range(3), "d", keep=True)
     assert kept.count() == 3
+
+
+def test_hybrid_by_threshold_is_that_of_arrays(spark):
+    """Each setting reads the stored edges, of several files, and adds up their positions itself."""
+    rows = degrees.with_position(graph(spark, SF, "order_supp")).orderBy("pos").collect()
+    src, dst = (np.array([r[c] for r in rows]) for c in ("src", "dst"))
+    got = {r["tau"]: (r["rf"], r["scored"]) for r in QUERIES["w_hep_tau"](spark, SF).collect()}
+    for tau in (100, 10, 1):
+        stream, parts, _ = run_sequential(src, dst, 32, degrees.hard_cap(len(src), 32, 1.05), "hep", dict(seed=0, try_second=False, tau=float(tau), lam=1.1, eps=1.0))
+        assert got[tau] == (round(sum(m.bit_count() for m in parts.mask) / stream.n, 6), parts.scored)
+    assert len(got) == 3
