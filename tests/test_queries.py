@@ -1,11 +1,13 @@
 """Queries against their SQL twins on the smallest tables."""
 
 import glob
+import inspect
 import os
 
 import duckdb
 import pytest
 
+from edgesplit import workloads
 from edgesplit.queries import ORACLES, QUERIES
 
 from .conftest import SF
@@ -45,3 +47,13 @@ def test_names():
 
 def test_experiments_cover_every_k(spark):
     assert {r["k"] for r in QUERIES["w_full_scan"](spark, SF).collect()} == {4, 32, 128, 256}
+
+
+def test_the_main_grid_is_whole(spark):
+    """Seven graphs, each threshold of the hybrid, three runs with seconds and memory."""
+    assert len(set(workloads.MAIN_GRAPHS)) == 7 and inspect.signature(workloads.main_grid).parameters["graphs"].default == workloads.MAIN_GRAPHS
+    rows = workloads.main_grid(spark, SF, graphs=("order_part", "cust_order"), ks=(4,), methods=("cluster_guided", "hep")).collect()
+    kinds = (("cluster_guided", ""), ("hep", "100"), ("hep", "10"), ("hep", "1"), ("dbh", ""))
+    assert sorted((r["graph"], r["method"], r["variant"]) for r in rows) == sorted((g, m, v) for g in ("order_part", "cust_order") for m, v in kinds)
+    assert all(r["runs"] == 3 and r["rf"] >= 1 and r["seconds"] > 0 and r["sd_s"] is not None for r in rows)
+    assert all((r["memory_mb"] is None) == (r["method"] == "dbh") for r in rows)
