@@ -474,18 +474,18 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
 
     Candidates share a key of their shingle sets and have fingerprints within reach; links are verified
     on whole sets.  Rows with equal sets are one class.  Texts that are null or without words are one
-    class; a null doc_id never names a component; repeated rows stay; an empty table gives an empty result.
+    class; a null doc_id never names a component, but its text links as any other; repeated rows stay; an empty table gives an empty result.
     ``root`` tells components apart, with a doc_id or without; ``text_key`` tells rows of one doc_id apart.
     """
     prints = materialise(_set_prints(docs, shingle), "near-prints")
     firsts = F.min_by(F.struct("fp", "fp2", "few", "keys"), F.struct("fp", "fp2")).alias("own")
-    classes = materialise(prints.groupBy("node").agg(F.min("doc_id").alias("least"), firsts).select("node", "least", "own.*"), "near-classes")
+    classes = materialise(prints.groupBy("node").agg(F.min("doc_id").alias("least"), F.min("text_key").alias("text_key"), firsts).select("node", "least", "text_key", "own.*"), "near-classes")
     pairs, members = candidate_pairs(classes)
     pairs = materialise(pairs, "near-candidates")
 
     # One text stands for a class; only classes in a candidate pair or a large bucket have their sets made.
     involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).union(members.select("node")).distinct()
-    heads = classes.join(involved, "node").select("node", F.col("least").alias("doc_id")).where("doc_id is not null")
+    heads = classes.join(involved, "node").select("node", F.col("least").alias("doc_id"), "text_key")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -499,7 +499,12 @@ def similar_documents(docs: DataFrame, shingle: int = SHINGLE, similarity: float
                 own = np.asarray(nodes) == _set_digests(hashed, n).view(np.int64)
                 yield pa.RecordBatch.from_arrays([nodes, pa.array(bodies, pa.binary())], names=["node", "body"]).filter(pa.array(own))
 
-    chosen = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(heads, "doc_id").select("node", "text")
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    chosen = texts.join(heads.where("doc_id is not null").select("node", "doc_id"), "doc_id").select("node", "text")
+    # A class in which no row has a doc_id is found by its text.
+    unnamed = texts.where("doc_id is null").select("text", text_key(F.col("text")).alias("text_key"))
+    unnamed = unnamed.join(heads.where("doc_id is null").select("node", "text_key"), "text_key").dropDuplicates(["node"])
+    chosen = chosen.union(unnamed.select("node", "text"))
     bodies = materialise(chosen.mapInArrow(sets, "node long, body binary").dropDuplicates(["node"]), "near-sets")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

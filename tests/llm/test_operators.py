@@ -164,6 +164,20 @@ def test_keep_one_loses_no_text(spark):
     assert sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=repr) == sorted([(1, text(1)), (1, text(2)), (4, text(4)), (None, text(5)), (None, text(6))], key=repr)
 
 
+def test_near_copies_without_a_doc_id(spark):
+    """Texts of rows without a doc_id link with named ones and with each other, in small buckets and in large ones."""
+    text = lambda n, changed: " ".join(f"{n}w{i}" if i != changed else "other" for i in range(120))
+    rows = [(1, text("a", -1)), (None, text("a", 60)), (None, text("b", -1)), (None, text("b", 60)), (None, text("b", 60)), (7, text("c", -1)), *((None, text("c", 3 * i)) for i in range(40)), (None, text("d", -1))]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    made = simhash.similar_documents(frame)
+    roots = {}
+    for r in made.select("text_key", "root").distinct().collect():
+        roots.setdefault(r["root"], set()).add(r["text_key"])
+    assert sorted(map(len, roots.values())) == [1, 2, 2, 41]
+    kept = sorted((r["doc_id"] or 0, r["text"].split("w")[0]) for r in simhash.keep_one(frame, made).collect())
+    assert kept == [(0, "b"), (0, "d"), (1, "a"), (7, "c")]
+
+
 def test_near_copies_in_one_large_bucket(spark):
     """A chain of drifting versions in one bucket, compared against brute force whatever the size of Arrow batches."""
     draw = np.random.default_rng(12)
