@@ -10,7 +10,7 @@ from edgesplit.operators import cluster_map, clustering, degrees, jobs, metrics
 from edgesplit.operators import sequential as seq
 from edgesplit.operators.components import connected_components
 from edgesplit.plans import storage
-from edgesplit.plans.api import partition, run_sequential
+from edgesplit.plans.api import partition, run_sequential, run_stored
 from edgesplit.queries import QUERIES
 from edgesplit.sources import builders, edge_list
 from edgesplit.sources.builders import graph
@@ -276,3 +276,24 @@ def test_hybrid_by_threshold_is_that_of_arrays(spark):
         stream, parts, _ = run_sequential(src, dst, 32, degrees.hard_cap(len(src), 32, 1.05), "hep", dict(seed=0, try_second=False, tau=float(tau), lam=1.1, eps=1.0))
         assert got[tau] == (round(sum(m.bit_count() for m in parts.mask) / stream.n, 6), parts.scored)
     assert len(got) == 3
+
+
+def test_each_pass_reads_the_stored_edges(spark):
+    """As often as the method has passes, from every storage; the result is that of the stream held in one place."""
+    edges = degrees.with_position(graph(spark, SF, "cust_part"))
+    stored = edges.select("pos", "src", "dst").coalesce(1).sortWithinPartitions("pos").persist()
+    for passes in (1, 3):
+        got = run_stored(stored, stored.count(), 8, passes=passes).collect()
+        want = partition(edges, 8, engine="sequential", passes=passes).assignment.collect()
+        assert {(r["pos"], r["p"], r["stage"]) for r in got} == {(r["pos"], r["p"], r["stage"]) for r in want}
+        assert {r["passes"] for r in got} == {1 + passes + 2}
+    stored.unpersist()
+    rows = QUERIES["w_storage"](spark, SF).collect()
+    assert [(r["storage"], r["passes"]) for r in rows] == [("cache", 4), ("disk", 4), ("files", 4), ("files_zstd", 4)]
+
+
+def test_passes_out_of_order_raise():
+    pieces = [(np.arange(3), np.arange(3), np.arange(3) + 9), (np.arange(2), np.arange(2), np.arange(2) + 9)]
+    stream = seq.PassedStream(iter(pieces))
+    with pytest.raises(ValueError, match="not in order"):
+        list(stream.chunks())
