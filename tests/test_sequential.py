@@ -273,3 +273,30 @@ def test_expansion_by_arrays_is_that_one_by_one(k, tau, monkeypatch):
     monkeypatch.setattr(seq.expand, "__defaults__", (*seq.expand.__defaults__[:-2], 0, 3))
     _, got, _ = run_stream(spool(pairs), k, cap, "hep", OPTIONS | dict(tau=tau))
     assert (got.p == want.p).all() and (got.stage == want.stage).all() and list(got.mask) == masks and got.scored == want.scored
+
+
+@pytest.mark.parametrize("k, alpha, second", [(4, 1.05, False), (32, 1.0, True), (256, 1.0, False)])
+def test_two_terms_by_arrays_are_the_score_one_by_one(k, alpha, second, monkeypatch):
+    rng = np.random.default_rng(k)
+    src, dst = rng.zipf(1.6, 6000) % 300, 300 + rng.integers(0, 500, 6000)
+    cap = -(-int(alpha * 6000) // k)
+    done = []
+    for large in (False, True):
+        stream = seq.Stream(src, dst)
+        parts = seq.Partitions(stream, k, cap, try_second=second)
+        names, volumes = seq.cluster(stream, 3000 // k + 1)
+        home = seq.map_clusters(names, volumes, k)
+        if large:  # one by one, edge after edge, through first_of_two
+            monkeypatch.setattr(seq, "_two_terms", lambda stream, parts, rest, vol, home: _one_by_one(stream, parts, rest, vol, home))
+        seq.guided(stream, parts, names, volumes, home)
+        done.append((parts.p.tolist(), parts.stage.tolist(), parts.load, list(parts.mask), parts.scored))
+    assert done[0] == done[1]
+    assert 1 in done[0][1]
+
+
+def _one_by_one(stream, parts, rest, vol, home):
+    for e in np.flatnonzero(rest).tolist():
+        u, v = int(stream.u[e]), int(stream.v[e])
+        p, q = int(home[u]), int(home[v])
+        first = seq.first_of_two(parts.mask[u], parts.mask[v], parts.degree[u], parts.degree[v], int(vol[u]), int(vol[v]), p, q)
+        parts.settle(e, u, v, p if first else q, 1, q if first else p)
