@@ -297,3 +297,13 @@ def test_passes_out_of_order_raise():
     stream = seq.PassedStream(iter(pieces))
     with pytest.raises(ValueError, match="not in order"):
         list(stream.chunks())
+
+
+def test_stored_edges_are_one_piece(spark, monkeypatch):
+    """Whatever the session's file splits are."""
+    pieces = []
+    own = workloads.run_stored
+    monkeypatch.setattr(workloads, "run_stored", lambda stored, *rest: (pieces.append(stored.rdd.getNumPartitions()), own(stored, *rest))[1])
+    with storage.session_value(spark, "spark.sql.files.maxPartitionBytes", "4096"), storage.session_value(spark, "spark.sql.files.openCostInBytes", "1"):
+        workloads.storage_levels(spark, SF)
+    assert set(pieces) == {1}
